@@ -55,6 +55,19 @@ def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("doc_id", F.size("findings").alias("n_found"), "findings", F.sha2("text", 256).alias("text_sha256"))
 
 
+def op3_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .ann import nearest
+
+    rows = _table(spark, sf_dir, "embeddings")
+    return nearest(rows, rows.filter("vec_id % 50 = 0"))
+
+
+def op8_cap_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .caps import near_duplicates
+
+    return near_duplicates(_table(spark, sf_dir, "embeddings"))
+
+
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import warc
 
@@ -67,5 +80,5 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: For tests only: a deployment passes its own secret key.
 PII_KEY = "test key, not a secret"
 
-QUERIES = {f.__name__: f for f in (op1_sentencepiece, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op9_warc)}
+QUERIES = {f.__name__: f for f in (op1_sentencepiece, op3_neighbours, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op8_cap_filters, op9_warc)}
 ORACLES: dict[str, str] = {}

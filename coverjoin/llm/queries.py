@@ -55,6 +55,12 @@ def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("doc_id", F.size("findings").alias("n_found"), "findings", F.sha2("text", 256).alias("text_sha256"))
 
 
+def op2_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .minhash import near_duplicates
+
+    return near_duplicates(_table(spark, sf_dir, "documents"), shingle=2)
+
+
 def op3_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ann import nearest
 
@@ -80,5 +86,5 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: For tests only: a deployment passes its own secret key.
 PII_KEY = "test key, not a secret"
 
-QUERIES = {f.__name__: f for f in (op1_sentencepiece, op3_neighbours, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op8_cap_filters, op9_warc)}
+QUERIES = {f.__name__: f for f in (op1_sentencepiece, op2_minhash, op3_neighbours, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op8_cap_filters, op9_warc)}
 ORACLES: dict[str, str] = {}

@@ -81,10 +81,17 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return back.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substrings import dedup
+
+    done = dedup(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return done.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
+
+
 #: Vocabulary file; it stays where it is.
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: For tests only: a deployment passes its own secret key.
 PII_KEY = "test key, not a secret"
 
-QUERIES = {f.__name__: f for f in (op1_sentencepiece, op2_minhash, op3_neighbours, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op8_cap_filters, op9_warc)}
+QUERIES = {f.__name__: f for f in (op1_sentencepiece, op2_minhash, op3_neighbours, op4_source_mix, op5_toxicity, op6_secrets, op7_pii, op8_cap_filters, op9_warc, op10_substrings)}
 ORACLES: dict[str, str] = {}

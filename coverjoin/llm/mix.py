@@ -79,7 +79,7 @@ def mix(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, total:
     - sources: source, source_size, target, take (whole words) - one row per source; None where there are no rows.
     - schedule: slot, source, rank, epoch position as (lo, hi) in the source's stream, hi exclusive.
     - spans: slot, source, row, key, epoch, from_word, to_word: what each slot takes of each document, whole words.
-    - sized: row, key, source, size, one row per input row; ``row`` links spans to it where keys repeat.
+    - sized: row, key, source, size, hash, one row per input row; ``row`` links spans to it where keys repeat.
 
     weights: source -> weight, or a function of the list of sources (default: 5, 2, 1 by code point, null last). Sources are
     the unit in which weights are stated, so their totals fit the driver; documents, slots and blocks stay distributed.
@@ -124,4 +124,26 @@ def mix(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, total:
         (F.greatest(F.expr(f"greatest(p, block * {block})"), F.col("start")) - F.col("start")).alias("from_word"),
         (F.least(F.expr(f"least(q, (block + 1) * {block})"), F.col("start") + F.col("size")) - F.col("start")).alias("to_word"),
     ).filter("to_word > from_word")
-    return sources, schedule.drop("n"), spans, sized.drop("_h")
+    return sources, schedule.drop("n"), spans, sized.withColumnRenamed("_h", "hash")
+
+
+def mixed(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, seed: int = 0, text: str = "text", source: str = "source", key: str = "doc_id", counter: str | None = None) -> DataFrame:
+    """The mix as rows of ``docs``: one row per time that a document is taken whole, and for one taken in part a row with its
+    first words, joined by one space. Documents that the mix does not take are not there. counter: also keep this length
+    column true ("n_chars" by default where there is one). Rows that repeat key and text share what is taken of them."""
+    _, _, spans, sized = mix(docs, weights, block, most, None, seed, text, source, key)
+    counter = counter or ("n_chars" if "n_chars" in docs.columns else None)
+    taken = spans.groupBy("row").agg(F.sum(F.col("to_word") - F.col("from_word")).alias("_taken"))
+    taken = sized.join(taken, "row").groupBy(F.col("key").alias("_key"), F.col("hash").alias("_own_hash")).agg(F.sum("_taken").alias("_taken"), F.first("size").alias("_size"))
+    linked = docs.withColumn("_hash", F.xxhash64(F.lit(seed), F.col(key), F.col(text))).join(taken, F.col(key).eqNullSafe(F.col("_key")) & (F.col("_hash") == F.col("_own_hash")))
+    # of equal rows the first are served first
+    turn = F.row_number().over(W.partitionBy(key, "_hash").orderBy(F.lit(0))) - 1
+    own = F.least(F.col("_size") * most, F.greatest(F.lit(0), F.col("_taken") - F.col("_turn") * F.col("_size") * most))
+    copies = linked.withColumn("_turn", turn).withColumn("_own", own).filter("_own > 0").withColumn("_copy", F.explode(F.expr("sequence(1, cast((_own + _size - 1) div _size as int))")))
+    left = F.least(F.col("_size"), F.col("_own") - (F.col("_copy") - 1) * F.col("_size")).cast("int")
+    part = F.col("_left") < F.col("_size")
+    short = F.array_join(F.slice(F.regexp_extract_all(F.col(text), F.lit(WORD), F.lit(0)), F.lit(1), F.col("_left")), " ")
+    out = copies.withColumn("_left", left).withColumn(text, F.when(part, short).otherwise(F.col(text)))
+    if counter:
+        out = out.withColumn(counter, F.when(part, F.char_length(text).cast("long")).otherwise(F.col(counter)))
+    return out.select(*docs.columns)

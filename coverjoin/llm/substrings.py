@@ -336,11 +336,11 @@ def dedup(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_id
     A null or empty text has no words; one of fewer words than a window loses none. A row with a null key neither loses words
     nor takes any from others. Columns of the added names are replaced, others pass. An empty table gives no rows.
     """
-    ranges = repeats(docs, window, anchor, key, text)
+    ranges = repeats(docs, window, anchor, key, text).select(F.col("id").alias("_rid"), F.col("h").alias("_rh"), F.col("ranges").alias("_ranges"))
     docs = docs.drop(*[c for c in ("n_words", "n_removed", out) if c != text])
     names = docs.columns
     docs = docs.withColumn("_id", F.col(key).cast("long")).withColumn("_h", F.xxhash64(text))
-    both = docs.join(ranges, (F.col("_id") == ranges["id"]) & (F.col("_h") == ranges["h"]), "left").select(*[docs[c] for c in names], "ranges")
+    both = docs.join(ranges, (F.col("_id") == F.col("_rid")) & (F.col("_h") == F.col("_rh")), "left").select(*names, "_ranges")
     at, place = names.index(text), len(names)
 
     def remove(batches):

@@ -95,7 +95,11 @@ def odd_cycle(q: JoinQuery, form: str = "linked", plan: OddPlan | None = None) -
     if n == 3:
         return triangle(q)
     plan = plan or OddPlan()
-    # edges 1 .. n-1 along the path, the n-th closes; the half 1, 3, .., n-2 spans vertices 1 .. n-1
+    # edges 1 .. n-1 along the path, the n-th closes; the half 1, 3, .., n-2 spans vertices 1 .. n-1. Any edge may close: the one
+    # that leaves the smallest half is taken
+    part = lambda k, first: math.prod(ring[(k + 1 + i) % n].size for i in range(first, n - 1, 2))
+    k = min(range(n), key=lambda k: (min(part(k, 0), part(k, 1)), (k + 1) % n))
+    ring, vs = ring[k + 1 :] + ring[: k + 1], vs[k + 1 :] + vs[: k + 1]
     if math.prod(r.size for r in ring[0 : n - 1 : 2]) > math.prod(r.size for r in ring[1 : n - 1 : 2]):
         # backwards with the same closing edge the halves change places
         ring, vs, plan.reversed = [*ring[n - 2 :: -1], ring[n - 1]], [vs[0], *vs[:0:-1]], True

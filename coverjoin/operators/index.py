@@ -32,11 +32,11 @@ class PrefixIndex:
             self._lists[key] = keep(self.rel.project(a for a in self.order if a in key))
         return self._lists[key]
 
-    def count(self, prefix, rest, name: str = "n") -> DataFrame:
+    def count(self, prefix, rest, name: str = "_count") -> DataFrame:
         key = (frozenset(prefix), frozenset(rest))
         if key not in self._counts:
-            self._counts[key] = keep(self.list(key[0] | key[1]).groupBy(*(a for a in self.order if a in key[0])).agg(F.count("*").alias("n")))
-        return self._counts[key].withColumnRenamed("n", name)
+            self._counts[key] = keep(self.list(key[0] | key[1]).groupBy(*(a for a in self.order if a in key[0])).agg(F.count("*").alias("_count")))
+        return self._counts[key].withColumnRenamed("_count", name)
 
     def total(self, attrs) -> int:
         key = frozenset(attrs)

@@ -1,4 +1,700 @@
-"""The registered queries of the join methods, each beside its SQL."""
+"""The registered queries of the join methods, each beside its SQL (DuckDB's dialect)."""
 
-QUERIES: dict = {}
+from __future__ import annotations
+
+import math
+from collections.abc import Callable
+from fractions import Fraction
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from .functions.scalar import sign_bucket
+from .operators import allbutone, anchored, baselines, cycles, fd, geometry, grid, metrics, planner, relaxed, tighten
+from .operators.index import PrefixIndex, intersect_small
+from .operators.reduction import answer
+from .plans import bounds, lp
+from .plans.model import FD, Hypergraph, JoinQuery, Relation
+from .sources import generators
+from .sources.relations import json_attr, keyed, load, relation
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def put(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return put
+
+
+# -- relations on the tables
+
+OL = "lineitem JOIN orders ON l_orderkey = o_orderkey"
+REL = {
+    "cs": f"SELECT DISTINCT o_custkey AS c, l_suppkey AS s FROM {OL}",
+    "sp": f"SELECT DISTINCT l_suppkey AS s, l_partkey AS p FROM {OL}",
+    "cp": f"SELECT DISTINCT o_custkey AS c, l_partkey AS p FROM {OL}",
+    "edges": "SELECT DISTINCT least(u, v) AS x, greatest(u, v) AS y FROM (SELECT user_id AS u, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS v FROM events) WHERE u <> v",
+    "cn": "SELECT c_custkey AS c, c_nationkey AS n FROM customer",
+    "sn": "SELECT s_suppkey AS s, s_nationkey AS n FROM supplier",
+}
+
+
+def ol(spark: SparkSession, d: str) -> DataFrame:
+    return load(spark, d, "lineitem").join(load(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
+
+
+def facts(spark: SparkSession, d: str) -> dict[str, Relation]:
+    j = ol(spark, d)
+    return {"cs": relation(j, {"c": "o_custkey", "s": "l_suppkey"}, "cs"), "sp": relation(j, {"s": "l_suppkey", "p": "l_partkey"}, "sp"), "cp": relation(j, {"c": "o_custkey", "p": "l_partkey"}, "cp")}
+
+
+def w01(spark: SparkSession, d: str) -> JoinQuery:
+    r = facts(spark, d)
+    return JoinQuery([r["cs"], r["sp"], r["cp"]], ["c", "s", "p"])
+
+
+TRIANGLE = f"WITH cs AS ({REL['cs']}), sp AS ({REL['sp']}), cp AS ({REL['cp']}) "
+W01_SQL = TRIANGLE + "SELECT cs.c, cs.s, cp.p FROM cs JOIN cp ON cp.c = cs.c JOIN sp ON sp.s = cs.s AND sp.p = cp.p"
+
+
+def edges(spark: SparkSession, d: str) -> DataFrame:
+    e = load(spark, d, "events")
+    nxt = F.lead("user_id").over(W.partitionBy(F.date_trunc("hour", F.col("ts").cast("timestamp"))).orderBy("ts", "event_id"))
+    return e.select(F.col("user_id").alias("u"), nxt.alias("v")).filter("u <> v").select(F.least("u", "v").alias("x"), F.greatest("u", "v").alias("y")).distinct()
+
+
+def three(e: DataFrame) -> JoinQuery:
+    """Triangles a < b < c of a graph of edges x < y."""
+    return JoinQuery([Relation("R", e.toDF("a", "b")), Relation("S", e.toDF("b", "c")), Relation("T", e.toDF("a", "c"))])
+
+
+EDGE_TRIANGLE = "SELECT r.x AS a, r.y AS b, s.y AS c FROM e r JOIN e s ON s.x = r.y JOIN e t ON t.x = r.x AND t.y = s.y"
+W04_SQL = f"WITH e AS ({REL['edges']}) {EDGE_TRIANGLE}"
+
+
+def keys(spark: SparkSession, d: str) -> DataFrame:
+    return load(spark, d, "part").select(F.col("p_partkey").cast("long").alias("k"))
+
+
+# -- triangles
+
+
+@query("triangle_cust_supp_part", W01_SQL)
+def _(spark, d):
+    return planner.join(w01(spark, d))
+
+
+@query("triangle_heavy_probe", W01_SQL)
+def _(spark, d):
+    return allbutone.triangle(w01(spark, d), heavy="probe", split="s")
+
+
+@query("triangle_heavy_product", W01_SQL)
+def _(spark, d):
+    return allbutone.triangle(w01(spark, d), heavy="product", split="s")
+
+
+@query("triangle_handoff", W04_SQL)
+def _(spark, d):
+    return allbutone.triangle(three(edges(spark, d)))
+
+
+@query("triangle_tau_sweep", f"SELECT t.tau, count(*) AS n FROM ({W04_SQL}) CROSS JOIN (VALUES (1), (20), (1000)) AS t(tau) GROUP BY t.tau")
+def _(spark, d):
+    q = three(edges(spark, d))
+    out = [allbutone.triangle(q, tau=t).groupBy().agg(F.count("*").alias("n")).select(F.lit(t).alias("tau"), "n") for t in (1, 20, 1000)]
+    return out[0].union(out[1]).union(out[2])
+
+
+@query("triangle_split_sizes", TRIANGLE + """, n AS (SELECT (SELECT count(*) FROM cs) AS nr, (SELECT count(*) FROM sp) AS ns, (SELECT count(*) FROM cp) AS nt),
+    deg AS (SELECT s, count(*) AS x FROM cs GROUP BY s), fan AS (SELECT s, count(*) AS y FROM sp GROUP BY s),
+    bothsides AS (SELECT x, coalesce(y, 0) AS y, x * x * (SELECT ns FROM n) > (SELECT nr * nt FROM n) AS heavy FROM deg LEFT JOIN fan USING (s))
+    SELECT CAST(sum(CASE WHEN heavy THEN 1 ELSE 0 END) AS BIGINT) AS n_heavy, CAST(sum(CASE WHEN heavy THEN 1 ELSE 0 END) * (SELECT nt FROM n) AS BIGINT) AS heavy_product,
+    CAST(sum(CASE WHEN heavy THEN 0 ELSE x * y END) AS BIGINT) AS light_join FROM bothsides""")
+def _(spark, d):
+    return metrics.split_sizes(w01(spark, d), split="s")
+
+
+@query("triangle_event_props", """WITH e AS (SELECT user_id AS u, CAST(json_extract(props, '$.k') AS INTEGER) AS k, event_type AS t FROM events),
+    r AS (SELECT DISTINCT u, k FROM e), s AS (SELECT DISTINCT k, t FROM e), w AS (SELECT DISTINCT u, t FROM e)
+    SELECT r.u, r.k, s.t FROM r JOIN s USING (k) JOIN w ON w.u = r.u AND w.t = s.t""")
+def _(spark, d):
+    e = load(spark, d, "events").select(F.col("user_id").alias("u"), json_attr("props", "k").alias("k"), F.col("event_type").alias("t"))
+    return planner.join(JoinQuery([relation(e, ["u", "k"], "r"), relation(e, ["k", "t"], "s"), relation(e, ["u", "t"], "w")], ["u", "k", "t"]))
+
+
+@query("triangle_doc_facets", """WITH d AS (SELECT lang AS l, source AS s, CAST(quality AS INTEGER) AS q FROM documents JOIN labels USING (doc_id)),
+    r AS (SELECT DISTINCT l, s FROM d), t AS (SELECT DISTINCT s, q FROM d), w AS (SELECT DISTINCT l, q FROM d)
+    SELECT r.l, r.s, t.q FROM r JOIN t USING (s) JOIN w ON w.l = r.l AND w.q = t.q""")
+def _(spark, d):
+    x = load(spark, d, "documents").select("doc_id", "lang", "source").join(load(spark, d, "labels"), "doc_id").select(F.col("lang").alias("l"), F.col("source").alias("s"), F.col("quality").cast("int").alias("q"))
+    return planner.join(JoinQuery([relation(x, ["l", "s"], "r"), relation(x, ["s", "q"], "t"), relation(x, ["l", "q"], "w")], ["l", "s", "q"]))
+
+
+BITS = " + ".join(f"(CASE WHEN embedding[b * 8 + {j + 1}] >= 0 THEN {1 << j} ELSE 0 END)" for j in range(8))
+BANDS = f"SELECT vec_id AS v, b, {BITS} AS bits FROM embeddings CROSS JOIN (SELECT unnest(range(8)) AS b)"
+
+
+def bands(spark: SparkSession, d: str) -> DataFrame:
+    e = load(spark, d, "embeddings")
+    return e.select(F.col("vec_id").alias("v"), F.posexplode(F.array(*(sign_bucket(F.col("embedding"), 8 * b, 8) for b in range(8)))).alias("b", "bits"))
+
+
+@query("triangle_embeddings", f"WITH g AS ({BANDS}), e AS (SELECT DISTINCT r.v AS x, s.v AS y FROM g r JOIN g s ON r.b = s.b AND r.bits = s.bits AND r.v < s.v) {EDGE_TRIANGLE}")
+def _(spark, d):
+    g = bands(spark, d)
+    e = g.select(F.col("v").alias("x"), "b", "bits").join(g.select(F.col("v").alias("y"), "b", "bits"), ["b", "bits"]).filter("x < y").select("x", "y").distinct()
+    return allbutone.triangle(three(e))
+
+
+@query("triangle_per_vertex", f"WITH e AS ({REL['edges']}), t AS ({EDGE_TRIANGLE}) SELECT v, count(*) AS n_triangles FROM (SELECT a AS v FROM t UNION ALL SELECT b FROM t UNION ALL SELECT c FROM t) GROUP BY v")
+def _(spark, d):
+    t = allbutone.triangle(three(edges(spark, d)))
+    return t.select(F.explode(F.array("a", "b", "c")).alias("v")).groupBy("v").agg(F.count("*").alias("n_triangles"))
+
+
+# -- covers and bounds
+
+COUNTS = TRIANGLE + ", n AS (SELECT (SELECT count(*) FROM cs) AS r, (SELECT count(*) FROM sp) AS s, (SELECT count(*) FROM cp) AS t) "
+
+
+@query("lp_triangle_bound", COUNTS + "SELECT CAST(floor(least(sqrt(CAST(r AS DOUBLE) * s * t), CAST(r AS DOUBLE) * s, CAST(r AS DOUBLE) * t, CAST(s AS DOUBLE) * t)) AS BIGINT) AS bound FROM n")
+def _(spark, d):
+    q = w01(spark, d)
+    return spark.createDataFrame([(bounds.floor_bound(q.hypergraph, q.sizes()),)], "bound long")
+
+
+@query("bound_ladder", COUNTS + """SELECT 'integral' AS measure, CAST(least(r * s, r * t, s * t) AS DOUBLE) AS value FROM n
+    UNION ALL SELECT 'product', CAST(r AS DOUBLE) * s * t FROM n UNION ALL SELECT 'cover', floor(least(sqrt(CAST(r AS DOUBLE) * s * t), CAST(r AS DOUBLE) * s, CAST(r AS DOUBLE) * t, CAST(s AS DOUBLE) * t)) FROM n""")
+def _(spark, d):
+    return spark.createDataFrame(list(planner.bound_report(w01(spark, d)).items()), "measure string, value double")
+
+
+@query("bound_report", f"SELECT count(*) AS n_rows, CAST(TRUE AS BOOLEAN) AS within FROM ({W04_SQL})")
+def _(spark, d):
+    q = three(edges(spark, d))
+    b = bounds.floor_bound(q.hypergraph, q.sizes())
+    return allbutone.triangle(q).agg(F.count("*").alias("n_rows")).withColumn("within", F.col("n_rows") <= b)
+
+
+@query("sizes", TRIANGLE + "SELECT 'cs' AS relation, count(*) AS n_rows FROM cs UNION ALL SELECT 'sp', count(*) FROM sp UNION ALL SELECT 'cp', count(*) FROM cp")
+def _(spark, d):
+    q = w01(spark, d)
+    return spark.createDataFrame([(r.name, n) for r, n in zip(q.relations, q.sizes())], "relation string, n_rows long")
+
+
+@query("tighten_same_answer", W04_SQL)
+def _(spark, d):
+    q, x = tighten.tighten(three(edges(spark, d)), (Fraction(1), Fraction(1), Fraction(1, 2)))
+    return anchored.join(q, x)
+
+
+# -- constructed triangles
+
+
+def _bad(spark, d):
+    return generators.bad_triangle(keys(spark, d), 200)
+
+
+BAD = "WITH g AS (SELECT CAST(0 AS BIGINT) AS x, CAST(p_partkey AS BIGINT) AS y FROM part WHERE p_partkey BETWEEN 1 AND 100 UNION ALL SELECT CAST(p_partkey AS BIGINT), CAST(0 AS BIGINT) FROM part WHERE p_partkey BETWEEN 1 AND 100) "
+
+
+@query("bad_triangle", BAD + "SELECT r.x AS a, r.y AS b, s.y AS c FROM g r JOIN g s ON s.x = r.y JOIN g t ON t.x = r.x AND t.y = s.y")
+def _(spark, d):
+    return allbutone.triangle(_bad(spark, d))
+
+
+@query("bad_triangle_pairwise", BAD + "SELECT count(*) AS intermediate, CAST(0 AS BIGINT) AS n_rows FROM g r JOIN g s ON s.x = r.y")
+def _(spark, d):
+    trace: list[int] = []
+    baselines.left_deep(_bad(spark, d), trace=trace)
+    return spark.createDataFrame([tuple(trace)], "intermediate long, n_rows long")
+
+
+@query("tight_triangle", "SELECT x.n_nationkey AS a, y.n_nationkey AS b, z.n_nationkey AS c FROM nation x, nation y, nation z WHERE greatest(x.n_nationkey, y.n_nationkey, z.n_nationkey) < 12")
+def _(spark, d):
+    v = load(spark, d, "nation").filter("n_nationkey < 12").select("n_nationkey")
+    return allbutone.triangle(generators.grid(v, ["a", "b", "c"]))
+
+
+# -- all-but-one queries
+
+
+def w05(spark, d):
+    x = ol(spark, d).select(F.col("o_custkey").alias("c"), F.col("l_partkey").alias("p"), F.col("l_suppkey").alias("s"), F.month("l_shipdate").alias("m"))
+    return JoinQuery([relation(x, list(a), a) for a in ("psm", "csm", "cpm", "cps")], ["c", "p", "s", "m"])
+
+
+W05_SQL = f"""WITH x AS (SELECT o_custkey AS c, l_partkey AS p, l_suppkey AS s, CAST(month(l_shipdate) AS INTEGER) AS m FROM {OL}),
+    r1 AS (SELECT DISTINCT p, s, m FROM x), r2 AS (SELECT DISTINCT c, s, m FROM x), r3 AS (SELECT DISTINCT c, p, m FROM x), r4 AS (SELECT DISTINCT c, p, s FROM x)
+    SELECT r4.c, r4.p, r4.s, r3.m FROM r4 JOIN r3 USING (c, p) JOIN r2 ON r2.c = r4.c AND r2.s = r4.s AND r2.m = r3.m JOIN r1 ON r1.p = r4.p AND r1.s = r4.s AND r1.m = r3.m"""
+
+
+@query("abo4_lineitem", W05_SQL)
+def _(spark, d):
+    return allbutone.join(w05(spark, d))
+
+
+@query("abo4_left_deep", W05_SQL)
+def _(spark, d):
+    return allbutone.join(w05(spark, d), shape="left")
+
+
+@query("abo4_right_deep", W05_SQL)
+def _(spark, d):
+    return allbutone.join(w05(spark, d), shape="right")
+
+
+@query("abo_empty_side", "SELECT CAST(0 AS BIGINT) AS a, CAST(0 AS BIGINT) AS b, CAST(0 AS BIGINT) AS c, CAST(0 AS BIGINT) AS d WHERE FALSE")
+def _(spark, d):
+    q = generators.one_nonzero(keys(spark, d), ["a", "b", "c", "d"], 3)
+    rels = [Relation(r.name, r.df.limit(0)) if i == 0 else r for i, r in enumerate(q.relations)]
+    return allbutone.join(JoinQuery(rels, q.attrs))
+
+
+@query("abo2_product", "SELECT a.n_nationkey AS a, b.r_regionkey AS b FROM nation a, region b")
+def _(spark, d):
+    return allbutone.join(JoinQuery([relation(load(spark, d, "region"), {"b": "r_regionkey"}, "B"), relation(load(spark, d, "nation"), {"a": "n_nationkey"}, "A")], ["a", "b"]))
+
+
+@query("abo_tight", "SELECT x.n_nationkey AS a, y.n_nationkey AS b, z.n_nationkey AS c, w.n_nationkey AS d FROM nation x, nation y, nation z, nation w WHERE greatest(x.n_nationkey, y.n_nationkey, z.n_nationkey, w.n_nationkey) < 5")
+def _(spark, d):
+    v = load(spark, d, "nation").filter("n_nationkey < 5").select("n_nationkey")
+    return allbutone.join(generators.grid(v, ["a", "b", "c", "d"]))
+
+
+def _one_nonzero_sql(attrs: str, c: int) -> str:
+    zero = "SELECT " + ", ".join(f"CAST(0 AS BIGINT) AS {a}" for a in attrs)
+    return zero + "".join(" UNION ALL SELECT " + ", ".join("CAST(p_partkey AS BIGINT)" if b == a else "CAST(0 AS BIGINT)" for b in attrs) + f" FROM part WHERE p_partkey BETWEEN 1 AND {c}" for a in attrs)
+
+
+@query("abo_bad_n3", _one_nonzero_sql("abc", 60))
+def _(spark, d):
+    return allbutone.join(generators.one_nonzero(keys(spark, d), list("abc"), 60))
+
+
+@query("abo_bad_n4", _one_nonzero_sql("abcd", 60))
+def _(spark, d):
+    return allbutone.join(generators.one_nonzero(keys(spark, d), list("abcd"), 60))
+
+
+@query("abo_bad_anchored", _one_nonzero_sql("abcd", 60))
+def _(spark, d):
+    return anchored.join(generators.one_nonzero(keys(spark, d), list("abcd"), 60))
+
+
+@query("abo_bad_pairwise", "SELECT CAST(61 * 61 + 60 AS BIGINT) AS least_pair, CAST(181 AS BIGINT) AS n_rows")
+def _(spark, d):
+    q = generators.one_nonzero(keys(spark, d), list("abc"), 60)
+    return spark.createDataFrame([(min(metrics.pairwise_sizes(q).values()), baselines.left_deep(q).count())], "least_pair long, n_rows long")
+
+
+@query("abo_invariants", "SELECT CAST(n AS BIGINT) AS leaves, CAST(TRUE AS BOOLEAN) AS holds, CAST(k AS BIGINT) AS n_nodes FROM (VALUES (2, 2), (4, 1)) AS t(n, k)")
+def _(spark, d):
+    got = allbutone.invariants(w05(spark, d))
+    return spark.createDataFrame([(len(t.leaves), ok) for t, ok in got], "leaves long, holds boolean").groupBy("leaves").agg(F.bool_and("holds").alias("holds"), F.count("*").alias("n_nodes"))
+
+
+@query("gap_extended", "SELECT a, b, c, CAST(0 AS BIGINT) AS d FROM (" + _one_nonzero_sql("abc", 60) + ")")
+def _(spark, d):
+    return anchored.join(generators.extend_constant(generators.one_nonzero(keys(spark, d), list("abc"), 60), [("a", "d")]))
+
+
+# -- the general method
+
+
+def w08(spark, d):
+    x = ol(spark, d).join(load(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey")).join(load(spark, d, "part"), F.col("l_partkey") == F.col("p_partkey"))
+    x = x.select(F.col("c_nationkey").alias("a1"), F.col("c_mktsegment").alias("a2"), F.col("p_brand").alias("a3"), F.col("o_orderpriority").alias("a4"), F.col("l_returnflag").alias("a5"), F.year("l_shipdate").alias("a6")).distinct()
+    x = allbutone.keep(x)
+    return JoinQuery([relation(x, [f"a{i}" for i in e], f"R{e}") for e in ("1245", "1346", "123", "246", "356")], [f"a{i}" for i in "123456"])
+
+
+W08_SQL = f"""WITH x AS (SELECT c_nationkey AS a1, c_mktsegment AS a2, p_brand AS a3, o_orderpriority AS a4, l_returnflag AS a5, CAST(year(l_shipdate) AS INTEGER) AS a6
+    FROM {OL} JOIN customer ON o_custkey = c_custkey JOIN part ON l_partkey = p_partkey),
+    r1 AS (SELECT DISTINCT a1, a2, a4, a5 FROM x), r2 AS (SELECT DISTINCT a1, a3, a4, a6 FROM x), r3 AS (SELECT DISTINCT a1, a2, a3 FROM x), r4 AS (SELECT DISTINCT a2, a4, a6 FROM x), r5 AS (SELECT DISTINCT a3, a5, a6 FROM x)
+    SELECT r1.a1, r1.a2, r2.a3, r1.a4, r1.a5, r2.a6 FROM r1 JOIN r2 ON r1.a1 = r2.a1 AND r1.a4 = r2.a4 JOIN r3 ON r3.a1 = r1.a1 AND r3.a2 = r1.a2 AND r3.a3 = r2.a3
+    JOIN r4 ON r4.a2 = r1.a2 AND r4.a4 = r1.a4 AND r4.a6 = r2.a6 JOIN r5 ON r5.a3 = r2.a3 AND r5.a5 = r1.a5 AND r5.a6 = r2.a6"""
+
+
+@query("anchored_worked_example", W08_SQL)
+def _(spark, d):
+    return anchored.join(w08(spark, d))
+
+
+@query("anchored_order_size", W08_SQL)
+def _(spark, d):
+    return anchored.join(w08(spark, d), order="size")
+
+
+@query("anchored_order_arity", W08_SQL)
+def _(spark, d):
+    return anchored.join(w08(spark, d), order="arity")
+
+
+@query("anchored_order_given", W08_SQL)
+def _(spark, d):
+    return anchored.join(w08(spark, d), order=[4, 3, 2, 1, 0])
+
+
+@query("anchored_allones_cover", W04_SQL)
+def _(spark, d):
+    q = three(edges(spark, d))
+    return anchored.join(q, lp.trivial_cover(q.hypergraph))
+
+
+@query("anchored_triangle", W01_SQL)
+def _(spark, d):
+    return anchored.join(w01(spark, d))
+
+
+@query("bound_tight_example", "SELECT CAST(x AS BIGINT) AS half, CAST(y AS BIGINT) AS quarter FROM (VALUES (2, 3)) AS t(x, y)")
+def _(spark, d):
+    """Weights of the worked example's cheapest cover on the full grid: two of 1/2 and three of 1/4."""
+    h = Hypergraph(tuple("123456"), tuple(map(frozenset, ("1245", "1346", "123", "246", "356"))))
+    x = lp.optimal_cover(h, (1875, 21875, 3125, 175, 525))
+    return spark.createDataFrame([(x.count(Fraction(1, 2)), x.count(Fraction(1, 4)))], "half long, quarter long")
+
+
+@query("anchored_budget", "SELECT CAST(TRUE AS BOOLEAN) AS within")
+def _(spark, d):
+    got = metrics.node_budget(w08(spark, d))
+    return spark.createDataFrame([(all(g["rows"] <= g["budget"] * (1 + 1e-9) for g in got),)], "within boolean")
+
+
+@query("anchored_case_counts")
+def _(spark, d):
+    q = three(edges(spark, d))
+    rows = metrics.case_counts(q, cover=(Fraction(1, 2),) * 3)
+    return spark.createDataFrame([(r["rank"], ",".join(r["universe"]), r["what"], r["rows"]) for r in rows], "rank int, universe string, what string, n_bindings long")
+
+
+@query("empty_relation_join", "SELECT CAST(0 AS BIGINT) AS c, CAST(0 AS BIGINT) AS s, CAST(0 AS BIGINT) AS p WHERE FALSE")
+def _(spark, d):
+    r = facts(spark, d)
+    return anchored.join(JoinQuery([r["cs"], r["sp"], Relation("cp", r["cp"].df.filter("c < 0"))], ["c", "s", "p"]))
+
+
+@query("grid_triangle", W04_SQL)
+def _(spark, d):
+    return grid.join(three(edges(spark, d)), cells=16)
+
+
+@query("auto_abo", W05_SQL)
+def _(spark, d):
+    return planner.join(w05(spark, d))
+
+
+@query("auto_general", W08_SQL)
+def _(spark, d):
+    return planner.join(w08(spark, d))
+
+
+# -- indexes
+
+
+@query("index_counts", f"WITH x AS ({REL['cp']}) SELECT c, count(*) AS n FROM x GROUP BY c")
+def _(spark, d):
+    return PrefixIndex(facts(spark, d)["cp"], ["c", "p"]).count(["c"], ["p"], "n")
+
+
+@query("index_prebuilt_join", W04_SQL)
+def _(spark, d):
+    """The index of one relation is written, read back, and used in its place."""
+    import tempfile
+
+    q = three(edges(spark, d))
+    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}"
+    at = f"{base}/coverjoin-index-{abs(hash(d))}"
+    PrefixIndex(q.relations[2], ["a", "c"]).save(at)
+    return anchored.join(q, indexes={"T": PrefixIndex.load(spark, at, ["a", "c"], "T")})
+
+
+@query("intersect_small", f"SELECT DISTINCT s_nationkey AS n FROM supplier INTERSECT SELECT DISTINCT c_nationkey FROM customer WHERE c_acctbal > 0")
+def _(spark, d):
+    a = load(spark, d, "supplier").select(F.col("s_nationkey").alias("n"))
+    b = load(spark, d, "customer").filter("c_acctbal > 0").select(F.col("c_nationkey").alias("n"))
+    return intersect_small(a, b, a.count(), b.count())
+
+
+@query("index_sorted", f"WITH x AS ({REL['cp']}) SELECT c, p FROM x")
+def _(spark, d):
+    return facts(spark, d)["cp"].df.sortWithinPartitions("c", "p")
+
+
+# -- cycles and graphs
+
+
+def star(spark, d) -> dict[str, Relation]:
+    cust, supp, nat = (load(spark, d, t) for t in ("customer", "supplier", "nation"))
+    return facts(spark, d) | {
+        "cn": keyed(cust, {"c": "c_custkey", "n": "c_nationkey"}, "cn"), "sn": keyed(supp, {"s": "s_suppkey", "n": "s_nationkey"}, "sn"),
+        "cn1": keyed(cust, {"c": "c_custkey", "n1": "c_nationkey"}, "cn1"), "n1r": keyed(nat, {"n1": "n_nationkey", "r": "n_regionkey"}, "n1r"),
+        "n2r": keyed(nat, {"n2": "n_nationkey", "r": "n_regionkey"}, "n2r"), "sn2": keyed(supp, {"s": "s_suppkey", "n2": "s_nationkey"}, "sn2"),
+        "cm": keyed(cust, {"c": "c_custkey", "g": "c_mktsegment"}, "cm"), "oc": keyed(load(spark, d, "orders"), {"o": "o_orderkey", "c": "o_custkey"}, "oc"),
+        "op": relation(load(spark, d, "lineitem"), {"o": "l_orderkey", "p": "l_partkey"}, "op"),
+    }
+
+
+def pick(spark, d, names: str, attrs: str | None = None) -> JoinQuery:
+    r = star(spark, d)
+    return JoinQuery([r[n] for n in names.split()], attrs.split() if attrs else None)
+
+
+C4_SQL = TRIANGLE + f", cn AS ({REL['cn']}), sn AS ({REL['sn']}) SELECT cp.c, cn.n, sn.s, cp.p FROM cp JOIN cn ON cn.c = cp.c JOIN sn ON sn.n = cn.n JOIN sp ON sp.s = sn.s AND sp.p = cp.p"
+C5_SQL = TRIANGLE + "SELECT cs.c, c.c_nationkey AS n1, x.n_regionkey AS r, s.s_nationkey AS n2, cs.s FROM cs JOIN customer c ON c.c_custkey = cs.c JOIN supplier s ON s.s_suppkey = cs.s JOIN nation x ON x.n_nationkey = c.c_nationkey JOIN nation y ON y.n_nationkey = s.s_nationkey AND y.n_regionkey = x.n_regionkey"
+C6_SQL = TRIANGLE + "SELECT cp.c, c.c_nationkey AS n1, x.n_regionkey AS r, s.s_nationkey AS n2, sp.s, cp.p FROM cp JOIN sp ON sp.p = cp.p JOIN customer c ON c.c_custkey = cp.c JOIN supplier s ON s.s_suppkey = sp.s JOIN nation x ON x.n_nationkey = c.c_nationkey JOIN nation y ON y.n_nationkey = s.s_nationkey AND y.n_regionkey = x.n_regionkey"
+C7_SQL = TRIANGLE + ", op AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p FROM lineitem) SELECT oc.o_custkey AS c, c.c_nationkey AS n1, x.n_regionkey AS r, s.s_nationkey AS n2, sp.s, op.p, op.o FROM op JOIN orders oc ON oc.o_orderkey = op.o JOIN sp ON sp.p = op.p JOIN customer c ON c.c_custkey = oc.o_custkey JOIN supplier s ON s.s_suppkey = sp.s JOIN nation x ON x.n_nationkey = c.c_nationkey JOIN nation y ON y.n_nationkey = s.s_nationkey AND y.n_regionkey = x.n_regionkey"
+
+
+@query("cycle4_nation", C4_SQL)
+def _(spark, d):
+    return cycles.even_cycle(pick(spark, d, "cn sn sp cp", "c n s p"))
+
+
+@query("cycle5_region", C5_SQL)
+def _(spark, d):
+    return cycles.odd_cycle(pick(spark, d, "cn1 n1r n2r sn2 cs", "c n1 r n2 s"))
+
+
+@query("cycle6_region", C6_SQL)
+def _(spark, d):
+    return cycles.even_cycle(pick(spark, d, "cn1 n1r n2r sn2 sp cp", "c n1 r n2 s p"))
+
+
+@query("cycle7_orders", C7_SQL)
+def _(spark, d):
+    return cycles.odd_cycle(pick(spark, d, "cn1 n1r n2r sn2 sp op oc", "c n1 r n2 s p o"))
+
+
+@query("cycle4_anchored", C4_SQL)
+def _(spark, d):
+    return anchored.join(pick(spark, d, "cn sn sp cp", "c n s p"))
+
+
+@query("auto_cycle", C5_SQL)
+def _(spark, d):
+    return planner.join(pick(spark, d, "cn1 n1r n2r sn2 cs", "c n1 r n2 s"))
+
+
+GRAPH_SQL = TRIANGLE + "SELECT cs.c, cs.s, cp.p, c.c_nationkey AS n, c.c_mktsegment AS g FROM cs JOIN cp ON cp.c = cs.c JOIN sp ON sp.s = cs.s AND sp.p = cp.p JOIN customer c ON c.c_custkey = cs.c JOIN supplier x ON x.s_suppkey = cs.s AND x.s_nationkey = c.c_nationkey"
+
+
+@query("graph_star_cycle", GRAPH_SQL)
+def _(spark, d):
+    return cycles.graph_join(pick(spark, d, "cs sp cp cn cm sn", "c s p n g"))
+
+
+@query("graph_with_unary", GRAPH_SQL + " WHERE x.s_acctbal > 0")
+def _(spark, d):
+    q = pick(spark, d, "cs sp cp cn cm sn", "c s p n g")
+    rich = keyed(load(spark, d, "supplier").filter("s_acctbal > 0"), {"s": "s_suppkey"}, "rich")
+    return cycles.graph_join(JoinQuery([*q.relations, rich], q.attrs))
+
+
+# -- rules
+
+
+def rule_tables(spark, d) -> dict[str, DataFrame]:
+    e = load(spark, d, "events")
+    nxt = F.lead("user_id").over(W.partitionBy(F.date_trunc("hour", F.col("ts").cast("timestamp"))).orderBy("ts", "event_id"))
+    return {"E": edges(spark, d), "H": e.select(F.col("user_id").alias("u"), nxt.alias("v")).filter("v is not null"), "T": e.select("user_id", "event_type")}
+
+
+HANDS = "SELECT user_id AS u, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS v FROM events"
+
+
+@query("rule_self_join", W04_SQL)
+def _(spark, d):
+    return answer("q(a, b, c) :- E(a, b), E(b, c), E(a, c)", rule_tables(spark, d))
+
+
+@query("rule_constant", f"WITH e AS ({REL['edges']}), t AS (SELECT DISTINCT user_id AS u FROM events WHERE event_type = 'purchase') SELECT e.x, e.y FROM e JOIN t a ON a.u = e.x JOIN t b ON b.u = e.y")
+def _(spark, d):
+    return answer("q(x, y) :- E(x, y), T(x, 'purchase'), T(y, 'purchase')", rule_tables(spark, d))
+
+
+@query("rule_repeat_var", f"WITH h AS (SELECT DISTINCT u, v FROM ({HANDS}) WHERE v IS NOT NULL) SELECT a.u, b.v AS w FROM h a JOIN h b ON b.u = a.u WHERE a.u = a.v")
+def _(spark, d):
+    return answer("q(u, w) :- H(u, u), H(u, w)", rule_tables(spark, d))
+
+
+@query("rule_projected_head", f"WITH e AS ({REL['edges']}) SELECT DISTINCT r.x FROM e r JOIN e s ON s.x = r.y")
+def _(spark, d):
+    return answer("q(x) :- E(x, y), E(y, z)", rule_tables(spark, d))
+
+
+CLAUSES = [(a, b * 2, c * 3) for a in (1, -1) for b in (1, -1) for c in (1, -1)][1:]
+
+
+@query("sat_unique", "SELECT CAST(x AS INTEGER) AS v1, CAST(y AS INTEGER) AS v2, CAST(z AS INTEGER) AS v3 FROM (VALUES (0), (1)) a(x), (VALUES (0), (1)) b(y), (VALUES (0), (1)) c(z) WHERE " + " AND ".join("(" + " OR ".join(f"{'xyz'[abs(v) - 1]} = {int(v > 0)}" for v in cl) + ")" for cl in CLAUSES))
+def _(spark, d):
+    return anchored.join(generators.cnf(spark, CLAUSES))
+
+
+# -- dependencies
+
+
+def w16(spark, d) -> tuple[JoinQuery, list[FD]]:
+    r = star(spark, d)
+    lines = relation(load(spark, d, "lineitem"), {"o": "l_orderkey", "p": "l_partkey", "s": "l_suppkey"}, "L")
+    nat = keyed(load(spark, d, "nation"), {"n": "n_nationkey", "r": "n_regionkey"}, "nr")
+    return JoinQuery([r["oc"], r["cn"], nat, lines], ["o", "p", "s", "c", "n", "r"]), [FD("oc", "o", "c"), FD("cn", "c", "n"), FD("nr", "n", "r")]
+
+
+FD_SQL = f"WITH l AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p, l_suppkey AS s FROM lineitem) SELECT l.o, l.p, l.s, o_custkey AS c, c_nationkey AS n, n_regionkey AS r FROM l JOIN orders ON o_orderkey = l.o JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey"
+
+
+@query("fd_expand_orders", FD_SQL)
+def _(spark, d):
+    q, fds = w16(spark, d)
+    return fd.join(q, fds)
+
+
+@query("fd_unaware_orders", FD_SQL)
+def _(spark, d):
+    return fd.join(w16(spark, d)[0])
+
+
+@query("auto_fd", FD_SQL)
+def _(spark, d):
+    q, fds = w16(spark, d)
+    return planner.join(q, fds=fds)
+
+
+@query("fd_check", """SELECT 'o_orderkey -> o_custkey' AS fd, count(*) AS n_violations FROM (SELECT o_orderkey FROM orders GROUP BY 1 HAVING count(DISTINCT o_custkey) > 1)
+    UNION ALL SELECT 'p_brand -> p_size', count(*) FROM (SELECT p_brand FROM part GROUP BY 1 HAVING count(DISTINCT p_size) > 1)""")
+def _(spark, d):
+    told = lambda t, u, v: fd.violations(load(spark, d, t), u, v).agg(F.count("*").alias("n_violations")).select(F.lit(f"{u} -> {v}").alias("fd"), "n_violations")
+    return told("orders", "o_orderkey", "o_custkey").union(told("part", "p_brand", "p_size"))
+
+
+FAMILY_SQL = "SELECT CAST(p_partkey AS BIGINT) AS a, CAST(p_partkey % 7 AS BIGINT) AS b1, CAST(0 AS BIGINT) AS z, CAST(p_partkey % 11 AS BIGINT) AS b2 FROM part WHERE p_partkey < 150"
+
+
+@query("fd_family_join", FAMILY_SQL)
+def _(spark, d):
+    return fd.join(generators.fd_family(keys(spark, d), 150, 2), [FD("R1", "a", "b1"), FD("R2", "a", "b2")])
+
+
+@query("fd_unaware_join", FAMILY_SQL)
+def _(spark, d):
+    return fd.join(generators.fd_family(keys(spark, d), 150, 2))
+
+
+@query("fd_bound", "SELECT CAST(150 * 7 * 11 AS BIGINT) AS unaware, CAST(150 * 7 AS BIGINT) AS aware")
+def _(spark, d):
+    """Three pairs; the second relations have 7, 11 and 13 rows. Without dependencies all but one of them multiply."""
+    q = generators.fd_family(keys(spark, d), 150, 3)
+    return spark.createDataFrame([(fd.bound(q), fd.bound(q, [FD(f"R{i}", "a", f"b{i}") for i in (1, 2, 3)]))], "unaware long, aware long")
+
+
+# -- relaxed joins
+
+
+def w18(spark, d) -> JoinQuery:
+    j = ol(spark, d)
+    few = j.filter("o_custkey < 10")
+    return JoinQuery([relation(few, {"c": "o_custkey", "s": "l_suppkey"}, "R"), relation(j, {"s": "l_suppkey", "p": "l_partkey"}, "S"), relation(few, {"c": "o_custkey", "p": "l_partkey"}, "T"), relation(few.filter("l_returnflag = 'R'"), {"c": "o_custkey", "s": "l_suppkey", "p": "l_partkey"}, "Q")], ["c", "s", "p"])
+
+
+def relaxed_sql(r: int) -> str:
+    return TRIANGLE + f""", r AS (SELECT * FROM cs WHERE c < 10), t AS (SELECT * FROM cp WHERE c < 10), q AS (SELECT DISTINCT o_custkey AS c, l_suppkey AS s, l_partkey AS p FROM {OL} WHERE l_returnflag = 'R' AND o_custkey < 10),
+    k AS (SELECT c, s, p FROM r JOIN sp USING (s) UNION SELECT c, s, p FROM r JOIN t USING (c) UNION SELECT c, s, p FROM sp JOIN t USING (p) UNION SELECT c, s, p FROM q),
+    g AS (SELECT k.*, (CASE WHEN r.c IS NULL THEN 0 ELSE 1 END) + (CASE WHEN sp.s IS NULL THEN 0 ELSE 1 END) + (CASE WHEN t.c IS NULL THEN 0 ELSE 1 END) + (CASE WHEN q.c IS NULL THEN 0 ELSE 1 END) AS n
+    FROM k LEFT JOIN r ON r.c = k.c AND r.s = k.s LEFT JOIN sp ON sp.s = k.s AND sp.p = k.p LEFT JOIN t ON t.c = k.c AND t.p = k.p LEFT JOIN q ON q.c = k.c AND q.s = k.s AND q.p = k.p)
+    SELECT c, s, p FROM g WHERE n >= {4 - r}"""
+
+
+for _r in range(4):
+    query(f"relaxed_r{_r}", relaxed_sql(max(0, min(_r, 2))))(lambda spark, d, r=_r: relaxed.join(w18(spark, d), r))
+query("relaxed_noshare", relaxed_sql(1))(lambda spark, d: relaxed.join(w18(spark, d), 1, share=False))
+query("relaxed_naive", relaxed_sql(1))(lambda spark, d: relaxed.naive(w18(spark, d), 1))
+
+
+@query("relaxed_bound_report", "SELECT CAST(r AS BIGINT) AS r, CAST(a AS BIGINT) AS covering, CAST(b AS BIGINT) AS minimal, CAST(TRUE AS BOOLEAN) AS ordered FROM (VALUES (0, 1, 1), (1, 5, 4), (2, 11, 6), (3, 12, 4)) AS t(r, a, b)")
+def _(spark, d):
+    q = w18(spark, d)
+    h, s = q.hypergraph, q.sizes()
+    rows = []
+    for r in range(4):
+        f = relaxed.family_sizes(h, s, r)
+        rows.append((r, f["covering"], f["minimal"], relaxed.class_bound(h, s, r) <= relaxed.sum_bound(h, s, r) and f["classes"] <= f["minimal"]))
+    return spark.createDataFrame(rows, "r long, covering long, minimal long, ordered boolean")
+
+
+def _tight_sql(r: int) -> str:
+    wide = "SELECT a1, a2, a3 FROM w" if r >= 3 else "SELECT a1, a2, a3 FROM w WHERE FALSE"
+    return f"WITH k AS (SELECT CAST(p_partkey AS BIGINT) AS j FROM part WHERE p_partkey BETWEEN 1 AND 6), w AS (SELECT j AS a1, j AS a2, j AS a3 FROM k WHERE j > 3) SELECT x.j AS a1, y.j AS a2, z.j AS a3 FROM k x, k y, k z WHERE greatest(x.j, y.j, z.j) <= 3 UNION ALL {wide}"
+
+
+query("relaxed_tight", _tight_sql(3))(lambda spark, d: relaxed.join(JoinQuery(generators.relaxed_tight(keys(spark, d), 3, 3)), 3))
+query("relaxed_tight_r1", _tight_sql(1))(lambda spark, d: relaxed.join(JoinQuery(generators.relaxed_tight(keys(spark, d), 3, 3)), 1))
+
+
+@query("relaxed_blocks", """WITH v AS (SELECT CAST(p_partkey AS BIGINT) AS j FROM part WHERE p_partkey BETWEEN 1 AND 4),
+    b AS (SELECT x.j AS p, y.j AS q, (x.j <= 2)::INT + (y.j <= 2)::INT AS n, (x.j = y.j AND x.j > 2)::INT AS w FROM v x, v y),
+    g AS (SELECT s.p AS ax1, s.q AS ax2, t.p AS ay1, t.q AS ay2, s.n + s.w + t.n + t.w AS n, (s.n = 2 OR s.w = 1) AND (t.n = 2 OR t.w = 1) AS ok FROM b s, b t)
+    SELECT ax1, ax2, ay1, ay2 FROM g WHERE ok AND n >= 4""")
+def _(spark, d):
+    """Two blocks of two unary relations and a wide one each, two relations may disagree."""
+    k = keys(spark, d)
+    return relaxed.join(JoinQuery([*generators.relaxed_tight(k, 2, 2, "x"), *generators.relaxed_tight(k, 2, 2, "y")], ["ax1", "ax2", "ay1", "ay2"]), 2)
+
+
+# -- geometry
+
+
+def points(spark, d) -> DataFrame:
+    return load(spark, d, "lineitem").select(F.col("l_partkey").alias("p"), F.col("l_suppkey").alias("s"), F.month("l_shipdate").alias("m")).distinct()
+
+
+POINTS = "WITH x AS (SELECT DISTINCT l_partkey AS p, l_suppkey AS s, CAST(month(l_shipdate) AS INTEGER) AS m FROM lineitem) "
+
+
+@query("geo_hyperplane_check", POINTS + "SELECT count(*) AS points, (SELECT count(*) FROM (SELECT DISTINCT s, m FROM x)) AS p1, (SELECT count(*) FROM (SELECT DISTINCT p, m FROM x)) AS p2, (SELECT count(*) FROM (SELECT DISTINCT p, s FROM x)) AS p3, CAST(2 AS INTEGER) AS d, CAST(TRUE AS BOOLEAN) AS holds FROM x")
+def _(spark, d):
+    return geometry.hyperplane_check(points(spark, d), ["p", "s", "m"])
+
+
+GEO = "WITH g AS (" + BANDS + "), x AS (SELECT v, max(CASE WHEN b = 0 THEN bits END) AS b0, max(CASE WHEN b = 1 THEN bits END) AS b1, max(CASE WHEN b = 2 THEN bits END) AS b2, max(CASE WHEN b = 3 THEN bits END) AS b3 FROM g GROUP BY v) "
+
+
+@query("geo_regular_check", GEO + "SELECT (SELECT count(*) FROM (SELECT DISTINCT b0, b1, b2, b3 FROM x)) AS points, (SELECT count(*) FROM (SELECT DISTINCT b0, b1 FROM x)) AS p1, (SELECT count(*) FROM (SELECT DISTINCT b1, b2 FROM x)) AS p2, (SELECT count(*) FROM (SELECT DISTINCT b2, b3 FROM x)) AS p3, (SELECT count(*) FROM (SELECT DISTINCT b3, b0 FROM x)) AS p4, CAST(2 AS INTEGER) AS d, CAST(TRUE AS BOOLEAN) AS holds")
+def _(spark, d):
+    e = load(spark, d, "embeddings").select(*(sign_bucket(F.col("embedding"), 8 * b, 8).alias(f"b{b}") for b in range(4)))
+    return geometry.regular_projection_check(e, [["b0", "b1"], ["b1", "b2"], ["b2", "b3"], ["b3", "b0"]])
+
+
+@query("geo_reconstruct", POINTS + ", a AS (SELECT DISTINCT s, m FROM x), b AS (SELECT DISTINCT p, m FROM x), c AS (SELECT DISTINCT p, s FROM x) SELECT c.p, c.s, b.m FROM c JOIN b ON b.p = c.p JOIN a ON a.s = c.s AND a.m = b.m")
+def _(spark, d):
+    x = allbutone.keep(points(spark, d))
+    return geometry.reconstruct([relation(x, ["p", "s"], "ps"), relation(x, ["p", "m"], "pm"), relation(x, ["s", "m"], "sm")])
+
+
+# -- baselines
+
+
+query("pairwise_left_deep", W04_SQL)(lambda spark, d: baselines.left_deep(three(edges(spark, d))))
+query("pairwise_bushy", C4_SQL)(lambda spark, d: baselines.bushy(pick(spark, d, "cn sn sp cp", "c n s p"), ((0, 3), (1, 2))))
+query("pairwise_dp", C4_SQL)(lambda spark, d: baselines.dp_order(pick(spark, d, "cn sn sp cp", "c n s p")))
+query("pairwise_catalyst", W01_SQL)(lambda spark, d: baselines.catalyst_sql(w01(spark, d)))
+query("join_project_plan", W04_SQL)(lambda spark, d: baselines.join_project(three(edges(spark, d))))
+query("join_project_tree", f"WITH e AS ({REL['edges']}) SELECT DISTINCT r.x AS a, s.y AS c FROM e r JOIN e s ON s.x = r.y")(
+    lambda spark, d: baselines.run_plan(three(edges(spark, d)), ("project", ("join", 0, 1), ["a", "c"]))
+)
+
+
+@query("pairwise_intermediates", TRIANGLE + "SELECT 's' AS attribute, CAST(sum(x * y) AS BIGINT) AS n_rows FROM (SELECT s, count(*) AS x FROM cs GROUP BY s) JOIN (SELECT s, count(*) AS y FROM sp GROUP BY s) USING (s) UNION ALL SELECT 'p', CAST(sum(x * y) AS BIGINT) FROM (SELECT p, count(*) AS x FROM sp GROUP BY p) JOIN (SELECT p, count(*) AS y FROM cp GROUP BY p) USING (p) UNION ALL SELECT 'c', CAST(sum(x * y) AS BIGINT) FROM (SELECT c, count(*) AS x FROM cs GROUP BY c) JOIN (SELECT c, count(*) AS y FROM cp GROUP BY c) USING (c)")
+def _(spark, d):
+    return spark.createDataFrame(list(allbutone.split_costs(w01(spark, d)).items()), "attribute string, n_rows long")
+
+
+from . import surround  # noqa: E402, F401  registers the operators around the methods

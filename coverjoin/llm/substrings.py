@@ -27,7 +27,7 @@ from .common import hash_words, mix64, parts, small_batches, split_words
 from .fmindex import FMIndex
 
 #: Words of one FM-index, about.
-SHARD = 1 << 20
+SHARD = 1 << 19
 
 
 def anchors(h: np.ndarray, window: int, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -52,6 +52,23 @@ def _hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return hash_words(flat), off
 
 
+def _batch_anchors(h: np.ndarray, off: np.ndarray, window: int, k: int):
+    """For all texts of a batch at once: k-gram hashes, and of each window inside a text its anchor's position, its text, and its
+    first word. Positions count from the batch's first word; windows across texts are left out."""
+    if len(h) < window:
+        none = np.zeros(0, np.int64)
+        return h, none, none, none
+    g, at = anchors(h, window, k)
+    who = np.repeat(np.arange(len(off) - 1), np.diff(off))[: len(at)]
+    inside = np.flatnonzero(np.arange(len(at)) + window <= off[who + 1])
+    return g, at[inside], who[inside], inside
+
+
+def _binary(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Binary values cut out of one run of bytes."""
+    return pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(np.ascontiguousarray(data).tobytes())])
+
+
 def _ranges(keys: list, starts: np.ndarray, ends: np.ndarray, who: np.ndarray):
     """Rows (kind 1, key, packed ranges) from ranges of documents, overlapping ones joined."""
     order = np.lexsort((starts, who))
@@ -64,8 +81,13 @@ def _ranges(keys: list, starts: np.ndarray, ends: np.ndarray, who: np.ndarray):
         yield keys[d], np.stack([s[new], top[last]], axis=1).astype(np.int32).tobytes()
 
 
-def _pack5(h: np.ndarray) -> bytes:
-    return h[:, None].view(np.uint8).reshape(-1, 8)[:, 3:].tobytes()
+def _pack6(h: np.ndarray) -> bytes:
+    """The upper 48 bits of anchors: what shares them by chance is only looked at in vain."""
+    return (h >> np.uint64(32)).astype(np.uint32).tobytes() + ((h >> np.uint64(16)) & np.uint64(0xFFFF)).astype(np.uint16).tobytes()
+
+
+def _unpack6(b: bytes, n: int) -> np.ndarray:
+    return (np.frombuffer(b, np.uint32, n).astype(np.uint64) << np.uint64(16)) | np.frombuffer(b, np.uint16, n, 4 * n)
 
 
 def _unpack5(b: bytes) -> np.ndarray:
@@ -82,62 +104,63 @@ def repeats(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_
     ascending, of the windows that also start in a document with a smaller key. h is the 64-bit hash of the text: rows that
     repeat a key count as one document, and each text of it gets its own ranges.
     """
+    return _repeats(docs.select(F.col(key).cast("long").alias("id"), F.xxhash64(text).alias("h"), F.col(text).alias("text")), window, anchor)
+
+
+def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
     spark = docs.sparkSession
-    docs = docs.filter(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.xxhash64(text).alias("h"), F.col(text).alias("text"))
     nb = parts(spark)
 
-    # 1. anchors: kind >= 0 is a bucket and holds packed (hash, row of the task's key list); kind < 0 is a note to a document
+    # 1. anchors. kind < nb: packed anchors of a bucket; else a packet of notes for documents of the bucket kind - nb
     def report(batches):
         for b in small_batches(batches, most=16 << 20):
             ids, hs = b.column(0).to_numpy(), b.column(1).to_numpy()
             h, off = _hashed(b.column(2))
-            got, who, at = [], [], []
-            for d, (x, y) in enumerate(zip(off[:-1], off[1:])):
-                if y - x < window:
-                    continue
-                g, a = anchors(h[x:y], window, anchor)
-                a = np.unique(a)
-                got.append(g[a])
-                at.append(a)
-                who.append(np.full(len(a), d))
-            if not got:
+            g, at, who = _batch_anchors(h, off, window, anchor)[:3]
+            if not len(at):
                 continue
-            got, who, at = np.concatenate(got), np.concatenate(who), np.concatenate(at)
-            order = np.lexsort((at, ids[who], got))
-            got, who, at = got[order], who[order], at[order]
+            new = np.concatenate([[True], at[1:] != at[:-1]])
+            at, who = at[new], who[new]
+            got = g[at]
+            order = np.lexsort((ids[who], got))
+            got, who = got[order], who[order]
             new = np.concatenate([[True], got[1:] != got[:-1]])
-            group = np.cumsum(new) - 1
-            first = np.flatnonzero(new)
-            low, high = ids[who[first]], ids[who[np.concatenate([first[1:], [len(got)]]) - 1]]
-            shared = (low < high)[group]
-            yield from notes(ids, hs, who[shared], got[shared])
+            group, first = np.cumsum(new) - 1, np.flatnonzero(new)
+            last = np.concatenate([first[1:], [len(got)]]) - 1
+            shared = (ids[who[first]] < ids[who[last]])[group]
+            rows = notes(ids, hs, who[shared], got[shared])
             bucket = got[first] % np.uint64(nb)
             order = np.argsort(bucket, kind="stable")
             edges = np.searchsorted(bucket[order], np.arange(nb + 1, dtype=np.uint64))
-            rows = []
             for k in range(nb):
                 f = first[order[edges[k] : edges[k + 1]]]
                 if len(f):
                     docs_of, inv = np.unique(who[f], return_inverse=True)
                     # a document that shares the anchor inside the task needs no answer; it only lends its key
                     told = shared[f].astype(np.uint32) << np.uint32(31)
-                    rows.append((k, np.int64(0), np.int64(0), got[f].tobytes() + (inv.astype(np.uint32) | told).tobytes() + ids[docs_of].tobytes() + hs[docs_of].tobytes(), len(f)))
-            if rows:
-                yield batch(rows)
+                    rows.append((k, _pack6(got[f]) + (inv.astype(np.uint32) | told).tobytes() + ids[docs_of].tobytes() + hs[docs_of].tobytes(), len(f)))
+            yield batch(rows)
 
     def batch(rows):
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.int32()))], ["kind", "id", "h", "data", "n"])
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.int32()))] if rows else [pa.array([], t) for t in (pa.int32(), pa.binary(), pa.int32())], ["kind", "data", "n"])
 
     def notes(ids, hs, who, got):
-        order = np.argsort(who, kind="stable")
-        who, got = who[order], got[order]
-        cut_at = np.flatnonzero(np.diff(who)) + 1
-        rows = [(-1 - int(d) % nb, int(ids[d]), int(hs[d]), np.unique(g).tobytes(), 0) for d, g in zip(who[np.concatenate([[0], cut_at])], np.split(got, cut_at))] if len(who) else []
-        for a in range(0, len(rows), 4096):
-            yield batch(rows[a : a + 4096])
-
-    schema = "kind int, id long, h long, data binary, n int"
-    reported = docs.mapInArrow(report, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+        """Shared anchors of documents, packed by the documents' bucket: numbers per document, anchors, keys."""
+        home = ids[who] % nb
+        order = np.lexsort((got, who, home))
+        who, got, home = who[order], got[order], home[order]
+        new = np.concatenate([[True], (who[1:] != who[:-1]) | (got[1:] != got[:-1])]) if len(who) else np.zeros(0, bool)
+        who, got, home = who[new], got[new], home[new]
+        edges = np.searchsorted(home, np.arange(nb + 1))
+        rows = []
+        for k in np.flatnonzero(np.diff(edges)):
+            part = slice(edges[k], edges[k + 1])
+            docs_of, many = np.unique(who[part], return_counts=True)
+            rows.append((nb + int(k), _pack6(got[part]) + many.astype(np.int32).tobytes() + ids[docs_of].tobytes() + hs[docs_of].tobytes(), edges[k + 1] - edges[k]))
+        return rows
+
+    schema = "kind int, data binary, n int"
+    reported = docs.filter("id is not null").select("id", "h", "text").mapInArrow(report, schema).repartition(nb, "kind").sortWithinPartitions("kind")
 
     def gather(batches):
         held, now = [], None
@@ -145,9 +168,9 @@ def repeats(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_
         def close():
             if len(held) < 2:
                 return
-            got = np.concatenate([np.frombuffer(d, np.uint64, n) for d, n in held])
-            code = [np.frombuffer(d, np.uint32, n, 8 * n) for d, n in held]
-            tail = [np.frombuffer(d, np.int64, -1, 12 * n) if len(d) > 12 * n else np.zeros(0, np.int64) for d, n in held]
+            got = np.concatenate([_unpack6(d, n) for d, n in held])
+            code = [np.frombuffer(d, np.uint32, n, 6 * n) for d, n in held]
+            tail = [np.frombuffer(d, np.int64, -1, 10 * n) if len(d) > 10 * n else np.zeros(0, np.int64) for d, n in held]
             base = np.concatenate([[0], np.cumsum([len(t) // 2 for t in tail])])
             ids, hs = (np.concatenate([t[: len(t) // 2] if x == 0 else t[len(t) // 2 :] for t in tail]) for x in (0, 1))
             who = np.concatenate([(c & np.uint32(0x7FFFFFFF)).astype(np.int64) + o for c, o in zip(code, base)])
@@ -160,81 +183,114 @@ def repeats(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_
             # shared if two documents have it, be they of different tasks or of one
             shared = (ids[who[first]] < ids[who[last]]) | (np.maximum.reduceat(told, first))
             ask = shared[group] & ~told
-            yield from notes(ids, hs, who[ask], got[ask])
+            yield batch(notes(ids, hs, who[ask], got[ask] << np.uint64(16)))
 
         for b in batches:
             kinds = b.column(0).to_numpy()
             for x in range(b.num_rows):
-                if kinds[x] < 0:
+                if kinds[x] >= nb:
                     continue
                 if kinds[x] != now:
                     yield from close()
                     held, now = [], kinds[x]
-                held.append((b.column(3)[x].as_py(), b.column(4)[x].as_py()))
-            keep = b.filter(pa.array(kinds < 0))
+                held.append((b.column(1)[x].as_py(), b.column(2)[x].as_py()))
+            keep = b.filter(pa.array(kinds >= nb))
             if keep.num_rows:
                 yield keep
         yield from close()
 
-    noted = reported.mapInArrow(gather, schema).groupBy("id", "h").agg(F.collect_list("data").alias("notes"))
-    asked = docs.join(noted, ["id", "h"]).select("id", "h", "notes", "text")
+    packets = reported.mapInArrow(gather, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+
+    def unpack(batches):
+        """One row per document: all its shared anchors."""
+        held, now = [], None
+
+        def close():
+            if not held:
+                return
+            got = np.concatenate([_unpack6(d, n) for d, n in held])
+            tails = [(len(d) - 6 * n) // 20 for d, n in held]
+            many = np.concatenate([np.frombuffer(d, np.int32, t, 6 * n) for (d, n), t in zip(held, tails)])
+            ids, hs = (np.concatenate([np.frombuffer(d[6 * n + (4 + 8 * x) * t : 6 * n + (12 + 8 * x) * t], np.int64) for (d, n), t in zip(held, tails)]) for x in (0, 1))
+            ends = np.cumsum(many)
+            order = np.lexsort((hs, ids))
+            cut_at = np.flatnonzero((np.diff(ids[order]) != 0) | (np.diff(hs[order]) != 0)) + 1
+            rows = []
+            for grp in np.split(order, cut_at):
+                all_of = np.concatenate([got[ends[i] - many[i] : ends[i]] for i in grp])
+                rows.append((ids[grp[0]], hs[grp[0]], all_of.tobytes()))
+                if len(rows) >= 4096:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.binary()))], ["id", "h", "notes"])
+                    rows = []
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.binary()))], ["id", "h", "notes"])
+
+        for b in batches:
+            for k, d, n in zip(*(c.to_pylist() for c in b.columns)):
+                if k != now:
+                    yield from close()
+                    held, now = [], k
+                held.append((d, n))
+        yield from close()
+
+    noted = packets.mapInArrow(unpack, "id long, h long, notes binary")
+    # left, like the last join: then both read one exchange of the texts
+    asked = docs.join(noted.hint("merge"), ["id", "h"], "left").select("id", "h", "notes", "text")
 
     # 2. fragments (kind = 0) and ranges known inside the task (kind = 1)
     def fragments(batches):
         for b in small_batches(batches, most=16 << 20):
-            ids, hs = b.column(0).to_numpy(), b.column(1).to_numpy()
-            notes_of = b.column(2).to_pylist()
+            # rows with a null key have no notes: their number does not matter
+            ids, hs = b.column(0).fill_null(0).to_numpy(), b.column(1).to_numpy()
+            told = [np.frombuffer(x, np.uint64) if x else np.zeros(0, np.uint64) for x in b.column(2).to_pylist()]
+            if not any(map(len, told)):
+                continue
             h, off = _hashed(b.column(3))
-            frag, who, start, size = [], [], [], []
-            for d, (x, y) in enumerate(zip(off[:-1], off[1:])):
-                if y - x < window:
-                    continue
-                g, at = anchors(h[x:y], window, anchor)
-                flagged = np.isin(g[at], np.unique(np.frombuffer(b"".join(notes_of[d]), np.uint64)))
-                edge = np.concatenate([[True], at[1:] != at[:-1]])
-                s = np.flatnonzero(edge)
-                e = np.concatenate([s[1:], [len(at)]])
-                ok = flagged[s]
-                s, e = s[ok], e[ok]
-                frag.append(g[at[s]])
-                who.append(np.full(len(s), d))
-                start.append(s + x)
-                size.append(e - s + window - 1)
-            if not frag:
+            g, at, who, at_window = _batch_anchors(h, off, window, anchor)
+            if not len(at):
                 continue
-            frag, who, start, size = (np.concatenate(v) for v in (frag, who, start, size))
-            if not len(frag):
+            s = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+            size = np.diff(np.append(s, len(at))) + window - 1
+            start, pos, who = at_window[s], at[s], who[s]
+            # notes hold for their document only: its number is mixed in
+            mark = lambda d, x: mix64(x + (d.astype(np.uint64) << np.uint64(48)))
+            known = np.concatenate([mark(np.full(len(x), d), x) for d, x in enumerate(told)])
+            ok = np.isin(mark(who, g[pos] >> np.uint64(16)), known)
+            if not ok.any():
                 continue
+            start, pos, who, size = start[ok], pos[ok], who[ok], size[ok]
+            frag = g[pos]
             # a fragment's content hash: running over its words, by length
-            content = frag.copy() + size.astype(np.uint64)
+            content = frag + size.astype(np.uint64)
             for i in range(int(size.max())):
-                live = size > i
+                live = np.flatnonzero(size > i)
                 content[live] = mix64(content[live] * np.uint64(31) + h[start[live] + i])
             place = start - off[who]
             order = np.lexsort((place, ids[who], content, frag))
-            frag, who, start, size, content, place = (v[order] for v in (frag, who, start, size, content, place))
+            frag, who, start, size, content, place, pos = (v[order] for v in (frag, who, start, size, content, place, pos))
             new = np.concatenate([[True], (frag[1:] != frag[:-1]) | (content[1:] != content[:-1])])
             group, first = np.cumsum(new) - 1, np.flatnonzero(new)
             later = ids[who] > ids[who[first]][group]
-            rows = [(1, *k, r, b"") for k, r in _ranges(list(zip(ids.tolist(), hs.tolist())), place[later], (place + size)[later], who[later])]
-            rows = [(1, 0, i, t, r, w) for _, i, t, r, w in rows]
+            known = list(_ranges(list(zip(ids.tolist(), hs.tolist())), place[later], (place + size)[later], who[later]))
+            if known:
+                yield pa.RecordBatch.from_arrays([pa.array([1] * len(known), pa.int8()), pa.array([0] * len(known), pa.int64()), pa.array([k[0] for k, _ in known], pa.int64()), pa.array([k[1] for k, _ in known], pa.int64()), pa.array([r for _, r in known], pa.binary()), pa.array([b""] * len(known), pa.binary())], ["kind", "anchor", "id", "h", "places", "words"])
             # of the smallest document, each text's places travel with the fragment
             mine = np.flatnonzero(~later)
             who_m, group_m = who[mine], group[mine]
-            lead = np.concatenate([[True], (group_m[1:] != group_m[:-1]) | (who_m[1:] != who_m[:-1])])
-            at = np.flatnonzero(lead)
-            ends = np.concatenate([at[1:], [len(mine)]])
-            for x, y in zip(at, ends):
-                f = mine[x]
-                rows.append((0, int(frag[f].view(np.int64)), int(ids[who[f]]), int(hs[who[f]]), place[mine[x:y]].astype(np.int32).tobytes(), _pack5(h[start[f] : start[f] + size[f]])))
-                if len(rows) >= 16384:
-                    yield fragment_batch(rows)
-                    rows = []
-            if rows:
-                yield fragment_batch(rows)
-
-    def fragment_batch(rows):
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int8(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()))], ["kind", "anchor", "id", "h", "places", "words"])
+            x = np.flatnonzero(np.concatenate([[True], (group_m[1:] != group_m[:-1]) | (who_m[1:] != who_m[:-1])]))
+            f = mine[x]
+            places = _binary(place[mine].astype(np.int32).view(np.uint8), 4 * np.append(x, len(mine)))
+            # the anchor's words are known by its hash: one byte says where they stand
+            lead, n = pos[f] - start[f], size[f]
+            within = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+            other = (within < np.repeat(lead, n)) | (within >= np.repeat(lead + anchor, n))
+            body = h[(np.repeat(start[f], n) + within)[other]][:, None].view(np.uint8).reshape(-1, 8)[:, 3:]
+            ends = np.concatenate([[0], np.cumsum(1 + 5 * (n - anchor))])
+            data = np.empty(int(ends[-1]), np.uint8)
+            rest = np.ones(len(data), bool)
+            rest[ends[:-1]] = False
+            data[ends[:-1]], data[rest] = lead, body.ravel()
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(f), np.int8)), pa.array(frag[f].view(np.int64)), pa.array(ids[who[f]]), pa.array(hs[who[f]]), places, _binary(data, ends)], ["kind", "anchor", "id", "h", "places", "words"])
 
     cut_up = asked.mapInArrow(fragments, "kind byte, anchor long, id long, h long, places binary, words binary")
     # ranges that are known already pass through by their document's key
@@ -252,26 +308,43 @@ def repeats(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_
                 if kind == 1:
                     continue
                 if a != now and words >= SHARD:
-                    yield from search(held, window)
+                    yield from search(held, window, anchor)
                     held, words = [], 0
                 now = a
                 held.append((a, i, t, p, w))
-                words += len(w) // 5
+                words += len(w) // 5 + anchor
         if held:
-            yield from search(held, window)
+            yield from search(held, window, anchor)
 
     found = shards.mapInArrow(match, KEY + ", ranges binary")
     return found.groupBy("id", "h").agg(F.collect_list("ranges").alias("ranges"))
 
 
-def search(held: list, window: int):
-    """Ranges, by document, of the fragments' windows that a smaller document has too: one FM-index over all of them. A
-    window meets only those of its own anchor, as the anchor's words are part of it."""
+def search(rows: list, window: int, k: int):
+    """Ranges, by document, of the fragments' windows that a smaller document has too: one FM-index over all of them. Equal
+    fragments stand in it once, with their smallest document; for the others of them every window is a match. A window meets only
+    those of its own anchor, as the anchor's words are part of it."""
+    low: dict[tuple, int] = {}
+    for f in rows:
+        c = (f[0], f[4])
+        low[c] = min(f[1], low.get(c, f[1]))
+    held = [f for f in rows if f[1] == low[f[0], f[4]]]
+    beaten = [f for f in rows if f[1] != low[f[0], f[4]]]
     ids = np.array([f[1] for f in held])
-    size = np.array([len(f[4]) // 5 for f in held])
-    words = _unpack5(b"".join(f[4] for f in held))
-    names, code = np.unique(words, return_inverse=True)
+    rest = np.array([len(f[4]) // 5 for f in held])
+    size = rest + k
+    given = _unpack5(b"".join(f[4][1:] for f in held))
+    # words of a fragment: given ones up to the anchor, k that stand for the anchor's own, the others
     n = len(held)
+    begin = np.cumsum(size) - size
+    at = begin + np.array([f[4][0] for f in held])
+    own = np.zeros(int(size.sum()), bool)
+    own[(at[:, None] + np.arange(k)).ravel()] = True
+    words = np.empty(len(own), np.uint64)
+    words[~own] = given
+    kinds, kind = np.unique(np.array([f[0] for f in held], np.int64), return_inverse=True)
+    words[own] = ((np.uint64(1) << np.uint64(41)) + (kind[:, None] * k + np.arange(k)).astype(np.uint64)).ravel()
+    names, code = np.unique(words, return_inverse=True)
     begin = np.concatenate([[0], np.cumsum(size + 1)[:-1]])
     seq = np.zeros(int(size.sum()) + n, np.int64)
     inside = np.ones(len(seq), bool)
@@ -315,15 +388,17 @@ def search(held: list, window: int):
     frag = np.concatenate([np.flatnonzero(whole), frag[hit]])
     a = np.concatenate([np.zeros(int(whole.sum()), np.int64), shift[hit]])
     b = np.concatenate([size[whole], shift[hit] + window])
-    if not len(frag):
+    hits = [held[f] for f in frag] + beaten
+    if not hits:
         return
-    keys = sorted({(f[1], f[2]) for f in held})
-    number = {k: i for i, k in enumerate(keys)}
-    places = [np.frombuffer(held[f][3], np.int32).astype(np.int64) for f in frag]
+    a = np.concatenate([a, np.zeros(len(beaten), np.int64)])
+    b = np.concatenate([b, [len(f[4]) // 5 + k for f in beaten]]).astype(np.int64)
+    number = {key: i for i, key in enumerate(sorted({(f[1], f[2]) for f in hits}))}
+    places = [np.frombuffer(f[3], np.int32) for f in hits]
     times = np.array([len(p) for p in places])
-    at = np.concatenate(places)
-    who = np.repeat(np.array([number[held[f][1], held[f][2]] for f in frag]), times)
-    rows = list(_ranges(keys, at + np.repeat(a, times), at + np.repeat(b, times), who))
+    at = np.concatenate(places).astype(np.int64)
+    who = np.repeat(np.array([number[f[1], f[2]] for f in hits]), times)
+    rows = list(_ranges(list(number), at + np.repeat(a, times), at + np.repeat(b, times), who))
     for x in range(0, len(rows), 8192):
         part = rows[x : x + 8192]
         yield pa.RecordBatch.from_arrays([pa.array([k[0] for k, _ in part], pa.int64()), pa.array([k[1] for k, _ in part], pa.int64()), pa.array([r for _, r in part], pa.binary())], ["id", "h", "ranges"])
@@ -336,11 +411,12 @@ def dedup(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_id
     A null or empty text has no words; one of fewer words than a window loses none. A row with a null key neither loses words
     nor takes any from others. Columns of the added names are replaced, others pass. An empty table gives no rows.
     """
-    ranges = repeats(docs, window, anchor, key, text).select(F.col("id").alias("_rid"), F.col("h").alias("_rh"), F.col("ranges").alias("_ranges"))
-    docs = docs.drop(*[c for c in ("n_words", "n_removed", out) if c != text])
-    names = docs.columns
-    docs = docs.withColumn("_id", F.col(key).cast("long")).withColumn("_h", F.xxhash64(text))
-    both = docs.join(ranges, (F.col("_id") == F.col("_rid")) & (F.col("_h") == F.col("_rh")), "left").select(*names, "_ranges")
+    names = [c for c in docs.columns if c == text or c not in ("n_words", "n_removed", out)]
+    kind = docs.schema[key].dataType
+    base = docs.select(F.col(key).cast("long").alias("id"), F.xxhash64(text).alias("h"), F.col(text).alias("text"), *(F.col(c).alias(f"_{i}") for i, c in enumerate(names) if c not in (key, text)))
+    ranges = _repeats(base, window, anchor)
+    back = {key: F.col("id").cast(kind).alias(key), text: F.col("text").alias(text)}
+    both = base.join(ranges.hint("merge"), ["id", "h"], "left").select(*(back.get(c, F.col(f"_{i}").alias(c)) for i, c in enumerate(names)), F.col("ranges").alias("_ranges"))
     at, place = names.index(text), len(names)
 
     def remove(batches):
@@ -364,5 +440,5 @@ def dedup(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_id
 
     from pyspark.sql.types import LongType, StringType, StructField, StructType
 
-    fields = {f.name: f for f in docs.select(*names).schema.fields} | {"n_words": StructField("n_words", LongType()), "n_removed": StructField("n_removed", LongType()), out: StructField(out, StringType())}
+    fields = {f.name: f for f in both.schema.fields[:-1]} | {"n_words": StructField("n_words", LongType()), "n_removed": StructField("n_removed", LongType()), out: StructField(out, StringType())}
     return both.mapInArrow(remove, StructType(list(fields.values())))

@@ -2,13 +2,13 @@
 
 Rows lie in blocks of a fixed size. A block keeps, for each of ``lines`` random directions, its rows' projections in sorted
 order. A query opens a window around its own projection on every line and widens all windows together, level by level
-(virtual rehashing: level R stands for the search radius R, windows have half-width R); each level only counts the rows that
+(virtual rehashing: level R stands for the search radius R, windows have half-width ``width`` * R); each level only counts the rows that
 the wider windows add. A row that has collided on at least ``threshold`` of the lines is verified by its exact cosine. A block
 is done with a query once its k-th best verified row is within the radius, or everything was seen; then the blocks' answers
 are merged. There is no cap on candidates.
 
-With half-width R a row at distance R collides on a line with probability 0.683, one at distance 1.5 R with 0.495; with 96
-lines and a threshold of 0.58 a row within the radius is missed with probability of about 2 %.
+With half-width R a row at distance R collides on a line with probability 0.683, one at distance 1.4 R with 0.525; with 64
+lines and a threshold of 0.56 a row within the radius is missed with probability of about 2 %.
 """
 
 from __future__ import annotations
@@ -31,10 +31,10 @@ class Block:
         self.norms = np.sqrt((self.x * self.x).sum(axis=1))
         self.lines = np.random.default_rng(seed).standard_normal((lines, x.shape[1]))
         p = (self.x / self.norms[:, None]) @ self.lines.T
-        self.order = np.argsort(p, axis=0, kind="stable").T.astype(np.int32).copy()
+        self.order = np.argsort(p, axis=0, kind="stable").T.astype(np.intp).copy()
         self.sorted = np.take_along_axis(p, self.order.T, axis=0).T.copy()
 
-    def search(self, qid: int, q: np.ndarray, k: int, threshold: float, first: float, ratio: float) -> tuple[np.ndarray, np.ndarray]:
+    def search(self, qid: int, q: np.ndarray, k: int, threshold: float, first: float, ratio: float, width: float) -> tuple[np.ndarray, np.ndarray]:
         n, m = len(self.ids), len(self.lines)
         q = scaled(q[None, :])[0]
         qn = float(np.sqrt((q * q).sum()))
@@ -47,9 +47,10 @@ class Block:
         radius = first
         while True:
             parts = []
+            half = radius * width
             for i in range(m):
                 s = self.sorted[i]
-                a, b = np.searchsorted(s, at[i] - radius), np.searchsorted(s, at[i] + radius, side="right")
+                a, b = s.searchsorted(at[i] - half), s.searchsorted(at[i] + half, side="right")
                 parts += [self.order[i, a : left[i]], self.order[i, right[i] : b]]
                 left[i], right[i] = min(a, left[i]), max(b, right[i])
             new = np.concatenate(parts)
@@ -72,7 +73,7 @@ class Block:
         return self.ids[found][best], score[best]
 
 
-def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, lines: int = 96, threshold: float = 0.58, first: float = 0.2, ratio: float = 1.5, block: int = 1 << 14, chunk: int = 256, seed: int = 3, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
+def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, lines: int = 64, threshold: float = 0.56, first: float = 0.3, ratio: float = 1.4, width: float = 1.0, block: int = 1 << 14, chunk: int = 256, seed: int = 3, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """The k rows of largest cosine found for each query: query_id, rank (from 1), vec_id, score. A row is no candidate of a
     query with the same key. Vectors that are null, zero, or hold null or non-finite components take no part; only vectors of
     equal length are compared. Ties go to the smaller key; fewer than k candidates are all returned. Repeated keys are
@@ -91,7 +92,7 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, lines: int = 96, th
             dim = left.column("dim")[0].as_py()
             index = Block(left.column("id").to_numpy(), matrix(left.column("v"), dim), lines, seed)
             for qid, q in zip(right.column("id").to_pylist(), matrix(right.column("v"), dim)):
-                ids, score = index.search(qid, q, k, threshold, first, ratio)
+                ids, score = index.search(qid, q, k, threshold, first, ratio, width)
                 out[0] += [qid] * len(ids)
                 out[1] += ids.tolist()
                 out[2] += score.tolist()

@@ -79,7 +79,7 @@ def _distinct(texts: pa.Array, bits: int, grams) -> list[np.ndarray]:
     return out
 
 
-def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 14, bits: int = BITS, grams: tuple[int, ...] = GRAMS, ridge: float = 2.0, steps: int = 150) -> Model:
+def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 12, bits: int = BITS, grams: tuple[int, ...] = GRAMS, ridge: float = 0.5, steps: int = 200) -> Model:
     """Fit on ``rows`` (text string, label int), already a bounded sample of at most 2 * per_class rows.
 
     Presence counts per class are summed on the executors; the ``features`` n-grams with the most evidence are kept, and
@@ -87,7 +87,7 @@ def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 14, bits:
     """
     def count(batches):
         pos, neg, np_, nn = np.zeros(1 << bits, np.int32), np.zeros(1 << bits, np.int32), 0, 0
-        for b in small_batches(batches):
+        for b in small_batches(batches, most=1 << 20):
             for ids, y in zip(_distinct(b.column("text"), bits, grams), b.column("label").to_pylist()):
                 (pos if y else neg)[ids] += 1
                 np_, nn = np_ + bool(y), nn + (not y)
@@ -115,17 +115,17 @@ def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 14, bits:
     slot[ids] = np.arange(len(ids))
 
     def present(batches):
-        for b in small_batches(batches):
+        for b in small_batches(batches, most=1 << 20):
             got = [slot[i][slot[i] >= 0] for i in _distinct(b.column("text"), bits, grams)]
             yield pa.RecordBatch.from_arrays([b.column("label").cast(pa.int32()), pa.array([x.astype(np.int32).tobytes() for x in got], pa.binary())], ["y", "x"])
 
     got = rows.mapInArrow(present, "y int, x binary").orderBy("y", "x").collect()
     y = np.array([g["y"] for g in got], np.float64)
     cols = [np.frombuffer(bytes(g["x"]), np.int32) for g in got]
-    row = np.repeat(np.arange(len(cols)), [len(c) for c in cols])
+    row = np.repeat(np.arange(len(cols), dtype=np.int32), [len(c) for c in cols])
     col = np.concatenate(cols) if cols else np.zeros(0, np.int32)
     scale = r[ids].astype(np.float64)
-    val = scale[col]
+    val = scale[col].astype(np.float32)
     w, b = np.zeros(len(ids)), float(np.log(y.mean() / (1 - y.mean())))
     # accelerated gradient steps; the step is set by the largest row's squared length
     norm = max(1.0, float(np.bincount(row, weights=val * val, minlength=len(y)).mean()))
@@ -164,7 +164,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", out: str = "score")
 
     def run(batches):
         at = None
-        for b in small_batches(batches, text):
+        for b in small_batches(batches, text, 1 << 20):
             at = b.schema.get_field_index(text) if at is None else at
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores(b.column(at), Model(*shared.value)), pa.float64())], [*b.schema.names, out])
 

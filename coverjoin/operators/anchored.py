@@ -9,12 +9,13 @@ from __future__ import annotations
 
 import math
 from collections.abc import Sequence
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from fractions import Fraction
 from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from ..plans import anchor as trees
 from ..plans import lp
@@ -42,6 +43,11 @@ def join(q: JoinQuery, cover: Sequence | None = None, order: Sequence[int] | str
         return q.empty()
     if h.m == 1:
         return q.relations[0].df.select(*q.attrs)
+    if hidden := _null_private(q):
+        # nulls of attributes that one relation alone has must come through equality tests: they travel inside a struct
+        wrapped = [replace(r, df=r.df.withColumns({a: F.struct(a) for a in r.attrs if a in hidden})) for r in q.relations]
+        out = join(JoinQuery(wrapped, q.attrs), cover, order, {k: v for k, v in (indexes or {}).items() if not hidden & set(v.rel.attrs)}, counters)
+        return out.select(*(F.col(a)[a].alias(a) if a in hidden else F.col(a) for a in q.attrs))
     if order == "size":
         order = sorted(range(h.m), key=lambda i: (sizes[i], i))
     elif order == "arity":
@@ -52,6 +58,17 @@ def join(q: JoinQuery, cover: Sequence | None = None, order: Sequence[int] | str
     return run.solve(tree, tuple(cover[i] for i in order), frozenset(), None).select(*q.attrs)
 
 
+def _null_private(q: JoinQuery) -> set[str]:
+    """Attributes of one relation only that have a null."""
+    out = set()
+    for r in q.relations:
+        mine = [a for a in r.attrs if q.hypergraph.degree(a) == 1 and r.df.schema[a].nullable and not isinstance(r.df.schema[a].dataType, StructType)]
+        if mine:
+            seen = r.df.agg(*(F.coalesce(F.bool_or(F.col(a).isNull()), F.lit(False)).alias(a) for a in mine)).first()
+            out |= {a for a in mine if seen[a]}
+    return out
+
+
 def _child_cover(y: tuple[Fraction, ...], k: int) -> tuple[Fraction, ...]:
     """Inside the anchor the other weights grow by 1 / (1 - weight of the anchor)."""
     return tuple(w / (1 - y[k]) for w in y[:k])

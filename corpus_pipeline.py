@@ -43,7 +43,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, source, n_ids and ids of every document; decoding the ids gives the text back."""
-    coded = pieces.encode(docs.select("doc_id", "source", "text"), pieces.load(MODEL))
+    coded = pieces.encode(docs.select("doc_id", "source", "text"), pieces.load(MODEL), keep_text=False)
     return coded.select("doc_id", "source", F.size("ids").alias("n_ids"), "ids")
 
 

@@ -22,6 +22,8 @@ from .common import components, cut, hash_words, mix64, parts, small_batches, sp
 ROWS, BANDS = 5, 25
 #: Shingles and members of a block at most (a larger single set is a block of its own).
 BLOCK_SHINGLES, BLOCK_MEMBERS = 2 << 20, 4096
+#: Of the filter that keeps most documents without a family out of the second pass; any size gives the same result.
+FILTER_BITS = 1 << 23
 
 
 def shingle_sets(texts: pa.Array, n: int) -> list[np.ndarray]:
@@ -152,12 +154,23 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, least: tuple[int, int] =
     sizes = members.groupBy("family").agg(F.greatest(F.ceil(F.sum("n") / BLOCK_SHINGLES), F.ceil(F.count("*") / BLOCK_MEMBERS)).cast("int").alias("nb"))
     members = cut(members.select("node", "family").distinct().join(sizes, "family"), "minhash-members")
 
-    def sets_of(batches):
-        for b in small_batches(batches):
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array([s.tobytes() for s in shingle_sets(b.column(3), shingle)], pa.binary())], ["node", "family", "nb", "shingles"])
+    # a bit set of fixed size tells most documents outside families apart before their sets are made and sent
+    slot = F.pmod(F.xxhash64("node"), F.lit(FILTER_BITS))
+    words = members.select(F.shiftright(slot, 6).alias("w"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64(node), {FILTER_BITS}) % 64 as int))").alias("x")).groupBy("w").agg(F.bit_or("x").alias("x")).collect()
+    bits = np.zeros(FILTER_BITS // 64, np.int64)
+    bits[[r["w"] for r in words]] = [r["x"] for r in words]
+    sent = spark.sparkContext.broadcast(bits)
 
-    texts = docs.join(members, docs["id"] == members["node"]).select("node", "family", "nb", "text")
-    full = texts.mapInArrow(sets_of, "node long, family long, nb int, shingles binary").filter(F.octet_length("shingles") > 0)
+    def sets_of(batches):
+        for b in batches:
+            at = b.column(2).to_numpy()
+            maybe = (sent.value[at >> 6] >> (at & 63)) & 1 == 1
+            for c in small_batches([b.filter(pa.array(maybe))]):
+                yield pa.RecordBatch.from_arrays([c.column(0), pa.array([s.tobytes() for s in shingle_sets(c.column(1), shingle)], pa.binary())], ["id", "shingles"])
+
+    found = docs.filter("id is not null").select("id", "text", F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS)).alias("slot")).mapInArrow(sets_of, "id long, shingles binary")
+    # always a merge join: the list of members grows with the table, and a plan that changes with the size would, too
+    full = found.join(members.hint("merge"), found["id"] == members["node"]).select("node", "family", "nb", "shingles").filter(F.octet_length("shingles") > 0)
     dealt = full.withColumn("own", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.expr("sequence(0, nb - 1)"))).withColumn("i", F.least("own", "o")).withColumn("j", F.greatest("own", "o"))
     unit = ["family", "i", "j"]
     placed = dealt.select(*unit, "own", "node", "shingles").repartition(parts(spark), *unit).sortWithinPartitions(*unit, "own", "node")

@@ -116,7 +116,7 @@ def mix(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, total:
     parts = schedule.withColumn("epoch", F.explode(F.expr("sequence(lo div n, (hi - 1) div n)"))).select("slot", "source", "epoch", F.greatest(F.lit(0), F.expr("lo - epoch * n")).alias("p"), F.least(F.col("n"), F.expr("hi - epoch * n")).alias("q"))
     cells = parts.withColumn("block", F.explode(F.expr(f"sequence(p div {block}, (q - 1) div {block})")))
     rows = sum(r["c"] for r in got)
-    stream = ranked(sized.filter("size > 0").withColumn("source", F.col("source")).withColumn("_null", F.col("source").isNull()).fillna("", ["source"]), ["source", "_null"], (F.shiftrightunsigned("_h", 11) / float(1 << 53)), [F.col("_h"), F.col("key"), F.col("size"), F.col("row")], F.col("size"), "start", max(1, rows >> 15))
+    stream = ranked(sized.filter("size > 0").withColumn("source", F.col("source")).withColumn("_null", F.col("source").isNull()).fillna("", ["source"]), ["source", "_null"], (F.shiftrightunsigned("_h", 11) / float(1 << 53)), [F.col("_h"), F.col("key"), F.col("size"), F.col("row")], F.col("size"), "start", max(64, rows >> 14))
     blocks = stream.withColumn("block", F.explode(F.expr(f"sequence(start div {block}, (start + size - 1) div {block})")))
     cells = cells.withColumn("_null", F.col("source").isNull()).fillna("", ["source"])
     spans = cells.join(blocks, ["source", "_null", "block"]).select(

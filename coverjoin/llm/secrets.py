@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 from . import native
 
 LABELLED = 6000
+#: Characters of the text looked at before and behind a candidate, and the shortest candidate.
+BEFORE, AFTER, LEAST = 48, 24, 12
 BLOCK = r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[\s\S]{0,8192}?-----END (?:[A-Z]+ )*PRIVATE KEY-----"
 CANDIDATE = BLOCK + r"|eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}|(?<![A-Za-z0-9_+-])[A-Za-z0-9_+-][A-Za-z0-9_+/-]{11,}={0,2}"
 VENDOR = r"^(?:(?:AKIA|ASIA)[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{30,}|xox[abprs]-[A-Za-z0-9-]{20,}|AIza[A-Za-z0-9_-]{30,}|sk_live_[A-Za-z0-9]{20,}|glpat-[A-Za-z0-9_-]{20,}|-----BEGIN[\s\S]*|eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+\..*)$"
@@ -162,6 +164,24 @@ def probability(x: Column, forest: list) -> Column:
     return out / len(forest)
 
 
+def contexts(found: Column, between: Column) -> Column:
+    """(before, after) of each match: the BEFORE and AFTER characters of the text around it, other matches included. Each gap and
+    match has 12 characters together at least, so four of them before and two behind are enough, and no text is walked from its start."""
+    tails = F.transform(found, lambda m, i: F.right(F.concat(F.right(F.element_at(between, i + 1), F.lit(BEFORE)), F.right(m, F.lit(BEFORE))), F.lit(BEFORE)))
+    heads = F.transform(found, lambda m, i: F.left(F.concat(F.left(m, F.lit(AFTER)), F.left(F.element_at(between, i + 2), F.lit(AFTER))), F.lit(AFTER)))
+
+    def use(x: Column) -> Column:
+        def one(m: Column, i: Column) -> Column:
+            low = F.greatest(i - BEFORE // LEAST, F.lit(0))
+            before = F.concat(F.array_join(F.slice(x["tails"], low + 1, i - low), ""), F.right(F.element_at(between, i + 1), F.lit(BEFORE)))
+            after = F.concat(F.left(F.element_at(between, i + 2), F.lit(AFTER)), F.array_join(F.slice(x["heads"], i + 2, F.lit(AFTER // LEAST)), ""))
+            return F.struct(F.right(before, F.lit(BEFORE)).alias("before"), F.left(after, F.lit(AFTER)).alias("after"))
+
+        return F.transform(found, one)
+
+    return F.element_at(F.transform(F.array(F.struct(tails.alias("tails"), heads.alias("heads"))), use), 1)
+
+
 def scan(docs: DataFrame, model: tuple[list, list[float]], text: str = "text", findings: str = "findings", redacted: str | None = None, least: float = 0.5, mask: str = "[SECRET]") -> DataFrame:
     """Add ``findings``, an array of (start, secret, score) in text order (start counts characters from 0), and, if named,
     ``redacted``: the text with each secret replaced by ``mask``. A null text has none and stays null. Columns of those
@@ -172,7 +192,8 @@ def scan(docs: DataFrame, model: tuple[list, list[float]], text: str = "text", f
     some = t.rlike(CANDIDATE)
     df = docs.withColumn("_m", F.when(some, native.matches(t, CANDIDATE)).otherwise(F.array().cast("array<string>")))
     df = df.withColumn("_g", F.when(some, native.gaps(t, CANDIDATE)).otherwise(F.array().cast("array<string>")))
-    seen = F.transform("_m", lambda m, i: F.struct(m.alias("m"), features(m, F.right(F.element_at("_g", i + 1), F.lit(48)), F.left(F.element_at("_g", i + 2), F.lit(24)), odds).alias("x")))
+    df = df.withColumn("_c", F.when(some, contexts(F.col("_m"), F.col("_g"))).otherwise(F.array().cast("array<struct<before:string,after:string>>")))
+    seen = F.transform(F.arrays_zip("_m", "_c"), lambda p: F.struct(features(p["_m"], p["_c"]["before"], p["_c"]["after"], odds).alias("x")))
     df = df.withColumn("_s", F.transform(seen, lambda s: probability(s["x"], forest)))
     # running lengths: the gaps and matches before each match
     lens = F.zip_with(F.transform("_g", lambda g: F.length(g)), F.transform("_m", lambda m: F.length(m)), lambda a, b: F.struct(F.coalesce(a, F.lit(0)).alias("g"), F.coalesce(b, F.lit(0)).alias("m")))
@@ -183,4 +204,4 @@ def scan(docs: DataFrame, model: tuple[list, list[float]], text: str = "text", f
     if redacted:
         clean = native.weave(F.col("_g"), F.zip_with("_m", "_s", lambda m, s: F.when(s >= least, F.lit(mask)).otherwise(m)))
         df = df.withColumn("_r", F.when(F.size("_f") > 0, clean).otherwise(t)).withColumn(redacted, F.col("_r")).drop("_r")
-    return df.withColumn(findings, F.col("_f")).drop("_m", "_g", "_s", "_f")
+    return df.withColumn(findings, F.col("_f")).drop("_m", "_g", "_c", "_s", "_f")

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 sys.path.insert(0, str(Path(__file__).resolve().parents[1]))
-from coverjoin.llm import common, minhash, mix, pieces, pii, secrets, substrings, toxicity  # noqa: E402
+from coverjoin.llm import common, minhash, mix, native, pieces, pii, secrets, substrings, toxicity  # noqa: E402
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -238,6 +238,27 @@ def test_forest_on_held_out_findings(spark):
     assert sum((r["p"] >= 0.5) == bool(r["label"]) for r in got) >= 0.97 * len(got)
 
 
+def test_announcing_names_of_any_length_are_seen(spark):
+    hexa, b64 = "4f1c9be07a63d285e0b7f19c3a5d8264", "wJ4rXq9tnF2mIKz7MdE6NGbPxRfiCYq8LkT5vAhs"
+    texts = [f"client_secret={hexa}\n", f'AWS_SECRET_ACCESS_KEY = "{b64}"\n', f"service_password: {hexa} x", f"a_long_name_of_a_thing client_secret={hexa} another_long_name_here", "commit_of_the_build commit " + hexa]
+    out = secrets.scan(table(spark, list(enumerate(texts))), secrets.train(spark)).orderBy("doc_id").collect()
+    assert [[f["secret"] for f in r["findings"]] for r in out] == [[hexa], [b64], [hexa], [hexa], []]
+
+
+def test_contexts_are_the_text_around_a_match(spark):
+    rng = random.Random(8)
+    texts = ["".join(rng.choice(["client_secret=", "abcdefghijkl", "0123456789abcdef" * 4, " ", "= \"", "\n", "é漢\U0001f600 ", "x ", "some words between. "]) for _ in range(rng.randint(1, 30))) for _ in range(60)]
+    t = F.col("text")
+    m, g = native.matches(t, secrets.CANDIDATE), native.gaps(t, secrets.CANDIDATE)
+    for r in table(spark, list(enumerate(texts))).select("text", m.alias("m"), g.alias("g"), secrets.contexts(m, g).alias("c")).collect():
+        at = 0
+        for gap, found, c in zip(r["g"], r["m"], r["c"]):
+            at += len(gap)
+            end = at + len(found)
+            assert (c["before"], c["after"]) == (r["text"][max(0, at - 48) : at], r["text"][end : end + 24])
+            at = end
+
+
 def luhn(d):
     return sum(sum(divmod(int(c) * (1 + i % 2), 10)) for i, c in enumerate(reversed(d))) % 10 == 0
 

@@ -20,7 +20,9 @@ from . import native
 LABELLED = 6000
 #: Characters of the text looked at before and behind a candidate, and the shortest candidate.
 BEFORE, AFTER, LEAST = 48, 24, 12
-BLOCK = r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[\s\S]{0,8192}?-----END (?:[A-Z]+ )*PRIVATE KEY-----"
+EDGE = r"(?:[A-Z]+ )*PRIVATE KEY-----"
+#: From a BEGIN line to its END line, however far, but not past another BEGIN; where the END is missing, the lines of key characters.
+BLOCK = rf"-----BEGIN {EDGE}(?:[^-]*+(?:-(?!----(?:BEGIN|END) {EDGE})[^-]*+)*+-----END {EDGE}|(?:(?:\s|\\[nr])++[A-Za-z0-9+/=]{{16,}}+)++)"
 CANDIDATE = BLOCK + r"|eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}|(?<![A-Za-z0-9_+-])[A-Za-z0-9_+-][A-Za-z0-9_+/-]{11,}={0,2}"
 VENDOR = r"^(?:(?:AKIA|ASIA)[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{30,}|xox[abprs]-[A-Za-z0-9-]{20,}|AIza[A-Za-z0-9_-]{30,}|sk_live_[A-Za-z0-9]{20,}|glpat-[A-Za-z0-9_-]{20,}|-----BEGIN[\s\S]*|eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+\..*)$"
 NEAR = r"(?i)(?:pass(?:word|wd|phrase)?|pwd|secret|token|api[_-]?key|access[_-]?key|auth|credentials?|bearer|private[_-]?key|client[_-]?secret)[\"']?\s*(?:=|:|=>|:=|\bis\b)?\s*[\"']?$"
@@ -29,6 +31,7 @@ FAR = r"(?i)(?:commit|sha-?\d*|md5|checksum|digest|etag|uuid|guid|build|version|
 WORDS = "about access account action address admin after agent alpha answer array audio before beta block board body bridge browser buffer build button cache call card center change channel chart check child class clear click client cloud code color column command common component config connect content context control core count create current custom data database date default delete design detail device dialog directory display document domain double download driver edit element email enable engine error event example export factory field file filter final folder font format frame function global graph group handle header height hidden history home host image import index inner input insert install instance item label language layout left length level library light limit line link list load local lock login main manager map master media member memory menu message meta method mode model module mouse name network node null number object open option order output owner package page panel parent parser path pattern phone picker place player plugin point port position post prefix print process product profile project property provider proxy public query queue random read record region register remote remove render report request reset resource response result return right root route scale schema screen script search section select sender server service session setting shape share shell signal simple size source space stack start state status stop storage store stream string style submit switch system table target task template test text theme thread time title toggle tool total track tree type unit update upload user util value variable version video view web width window word work worker wrapper write your".split()
 #: Letters, then upper case, digit, other: the classes of the transition table.
 SYMBOLS = 29
+PIECE = 512
 
 
 def _code(c: Column) -> Column:
@@ -43,20 +46,30 @@ def features(token: Column, before: Column, after: Column, odds: list[float]) ->
         n = F.length(t).cast("double")
         share = lambda p: F.length(F.regexp_replace(t, p, "")) / n
         runs = F.length(F.regexp_replace(t, "[a-z]+|[A-Z]+|[0-9]+|[^A-Za-z0-9]+", "x")) / n
-        cs = native.chars(t)
-        codes = F.transform(cs, _code)
-        pairs = F.zip_with(F.slice(codes, 1, F.size(codes) - 1), F.slice(codes, 2, F.size(codes) - 1), lambda a, b: F.element_at(table, a * SYMBOLS + b + 1))
-        trans = F.aggregate(pairs, F.lit(0.0), lambda a, x: a + x) / F.greatest(n - 1, F.lit(1.0))
+        # in pieces, so that a long token is never an array of its characters; a piece's pairs start with the last character before it
+        def pair_sums(pieces: Column) -> Column:
+            def pairs(p: Column, i: Column) -> Column:
+                joined = F.concat(F.when(i > 0, F.right(F.element_at(pieces, F.greatest(i, F.lit(1))), F.lit(1))).otherwise(""), p)
+                return F.element_at(F.transform(F.array(F.transform(native.chars(joined), _code)), odd), 1)
+
+            return F.struct(F.transform(pieces, pairs).alias("sums"), F.size(F.array_distinct(F.flatten(F.transform(pieces, lambda p: F.array_distinct(native.chars(p)))))).alias("distinct"))
+
+        def odd(codes: Column) -> Column:
+            two = F.zip_with(F.slice(codes, 1, F.size(codes) - 1), F.slice(codes, 2, F.size(codes) - 1), lambda a, b: F.element_at(table, a * SYMBOLS + b + 1))
+            return F.aggregate(two, F.lit(0.0), lambda a, x: a + x)
+
+        by_piece = F.element_at(F.transform(F.array(native.matches(t, rf"[\s\S]{{1,{PIECE}}}")), pair_sums), 1)
+        trans = F.aggregate(by_piece["sums"], F.lit(0.0), lambda a, x: a + x) / F.greatest(n - 1, F.lit(1.0))
         covered = 1 - F.length(F.regexp_replace(F.lower(t), "|".join(sorted(WORDS, key=len, reverse=True)), "")) / n
         flag = lambda c: c.cast("int").cast("double")
         return F.array(
-            F.least(n, F.lit(512.0)), share("[^0-9]"), share("[^A-Z]"), share("[^a-z]"), runs, F.size(F.array_distinct(cs)) / n, trans, covered,
+            n, share("[^0-9]"), share("[^A-Z]"), share("[^a-z]"), runs, by_piece["distinct"] / n, trans, covered,
             flag(t.rlike("^[0-9a-f]+$|^[0-9A-F]+$")), flag(t.rlike(r"^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$")), flag(t.rlike(VENDOR)),
             F.length(F.regexp_replace(t, "[^/]", "")) / n, flag(before.rlike(r"(?:[/\\.]|https?:\S*)$")), flag(after.rlike(r"^(?:[/\\(]|\.[a-z]{1,5}\b)")),
             flag(before.rlike(NEAR)), flag(before.rlike(FAR)),
         )
 
-    return F.element_at(F.transform(F.array(F.substring(token, 1, 512)), use), 1)
+    return F.element_at(F.transform(F.array(token), use), 1)
 
 
 FEATURES = ("length", "digits", "upper", "lower", "runs", "distinct", "transitions", "words", "hex", "uuid", "vendor", "slashes", "path_before", "path_after", "near", "far")
@@ -64,7 +77,8 @@ FEATURES = ("length", "digits", "upper", "lower", "runs", "distinct", "transitio
 
 def generated_findings(n: int = 4000, seed: int = 7) -> list[tuple[str, str, str, int]]:
     """Labelled findings (token, before, after, label) drawn from rules: keys and passwords next to and away from words that
-    announce them, and the usual false alarms - identifiers, long words, paths, digests, UUIDs, placeholders."""
+    announce them, web tokens and key blocks of any length, and the usual false alarms - identifiers, long words, paths, digests,
+    UUIDs, placeholders, embedded files."""
     r = random.Random(seed)
     pick = lambda a, k: "".join(r.choice(a) for _ in range(k))
     hexa, b64, up = "0123456789abcdef", string.ascii_letters + string.digits + "+/", string.ascii_uppercase + "234567"
@@ -99,10 +113,21 @@ def generated_findings(n: int = 4000, seed: int = 7) -> list[tuple[str, str, str
             out.append((pick("0123456789", r.randint(12, 20)), r.choice(dull + calm), " ", 0))
         else:
             out.append((r.choice(["x" * r.randint(12, 40), "your_api_key_here", "changeme_changeme", "-" * r.randint(12, 60), "_" * 20, "example_secret_value", "0" * 32, "a" * 40, "your-token-goes-here", "+" * 16]), r.choice(say), "\"", 0))
+    url = b64[:62] + "-_"
+    lines = lambda k: "\n".join(pick(b64, 64) for _ in range(k))
+    for _ in range(n // 40):
+        out.append(("eyJ" + pick(url, r.randint(10, 1500)) + "." + pick(url, r.randint(20, 3000)) + "." + pick(url, r.choice([43, 86, 342])), r.choice(dull + say), r.choice([" ", "\"", "\n"]), 1))
+        kind = r.choice(["", "RSA ", "EC ", "OPENSSH ", "ENCRYPTED "])
+        out.append((f"-----BEGIN {kind}PRIVATE KEY-----\n{lines(r.randint(1, 200))}\n-----END {kind}PRIVATE KEY-----", r.choice(dull + say), "\n", 1))
+        out.append((pick(b64, r.randint(65, 800)), r.choice(say), r.choice(["\"", " ", "\n"]), 1))
+        out.append((pick(b64, r.randint(100, 12000)), r.choice(["data:image/png;base64,", "base64,", *dull]), r.choice(["\"", ")", " "]), 0))
+        out.append((r.choice(["/", "-", "_"]).join(r.choice(WORDS) for _ in range(r.randint(20, 200))), r.choice(["https://x.org/", "in ", *dull]), r.choice([".html", " "]), 0))
+        out.append((r.choice("x=-_0a+") * r.randint(60, 3000), r.choice(dull + say), " ", 0))
     return out
 
 
 def pair_odds(rows: list[tuple[str, str, str, int]]) -> list[float]:
+    """From the first 512 characters of each labelled finding, so that a few long ones do not outweigh the rest; only here."""
     code = lambda c: ord(c) - 97 if "a" <= c <= "z" else 26 if "A" <= c <= "Z" else 27 if "0" <= c <= "9" else 28
     n = np.ones((2, SYMBOLS * SYMBOLS))
     for t, _, _, y in rows:

@@ -245,6 +245,30 @@ def test_announcing_names_of_any_length_are_seen(spark):
     assert [[f["secret"] for f in r["findings"]] for r in out] == [[hexa], [b64], [hexa], [hexa], []]
 
 
+def test_long_secrets_are_found_whole(spark):
+    rng = random.Random(12)
+    pick = lambda k: "".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789") for _ in range(k))
+    web = [f"eyJ{pick(a)}.{pick(b)}.{pick(43)}" for a, b in ((40, 200), (300, 700), (700, 4000))]
+    body = lambda k: "\n".join(pick(64) for _ in range(k))
+    block = lambda k: f"-----BEGIN RSA PRIVATE KEY-----\n{body(k)}\n-----END RSA PRIVATE KEY-----"
+    key, huge, cutoff = block(196), block(5000), "-----BEGIN EC PRIVATE KEY-----\n" + body(3)
+    assert len(key) > 12700 and len(huge) > 300000
+    texts = [f"the {w} and" for w in web] + [f"see\n{key}\nend", f"see\n{huge}\nend {key}", f"{cutoff}\n{key}\nend", "-----BEGIN PRIVATE KEY----- is how it starts", f"data:image/png;base64,{pick(50000)}) and", "word-" * 4000]
+    out = secrets.scan(table(spark, list(enumerate(texts))), secrets.train(spark)).orderBy("doc_id").collect()
+    assert [[f["secret"] for f in r["findings"]] for r in out] == [[w] for w in web] + [[key], [huge, key], [cutoff, key], [], [], []]
+
+
+def test_features_of_long_tokens_are_of_the_whole(spark):
+    odds = [((7 * i) % 19 - 9) / 8 for i in range(29 * 29)]
+    rng = random.Random(13)
+    tokens = ["".join(rng.choice("abcXYZ019+/_-") for _ in range(k)) for k in (12, 511, 512, 513, 1025, 4000)] + ["a" * 600 + "Z" + "9" * 600]
+    code = lambda c: ord(c) - 97 if "a" <= c <= "z" else 26 if "A" <= c <= "Z" else 27 if "0" <= c <= "9" else 28
+    for r in spark.createDataFrame([(t,) for t in tokens], "t string").select("t", secrets.features(F.col("t"), F.lit(""), F.lit(""), odds).alias("x")).collect():
+        t, x = r["t"], dict(zip(secrets.FEATURES, r["x"]))
+        assert x["length"] == len(t) and abs(x["distinct"] - len(set(t)) / len(t)) < 1e-9 and abs(x["digits"] - sum(c.isdigit() for c in t) / len(t)) < 1e-9
+        assert abs(x["transitions"] - sum(odds[code(a) * 29 + code(b)] for a, b in zip(t, t[1:])) / (len(t) - 1)) < 1e-6
+
+
 def test_contexts_are_the_text_around_a_match(spark):
     rng = random.Random(8)
     texts = ["".join(rng.choice(["client_secret=", "abcdefghijkl", "0123456789abcdef" * 4, " ", "= \"", "\n", "é漢\U0001f600 ", "x ", "some words between. "]) for _ in range(rng.randint(1, 30))) for _ in range(60)]

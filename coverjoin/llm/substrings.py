@@ -9,7 +9,8 @@ windows have equal anchors wherever they stand. The work is in three steps, none
    are reduced to the one of the smallest document. Fragments go to the shard of their anchor.
 3. A shard indexes its fragments in compressed FM-indexes and streams the same fragments through them: backward search over
    wavelet trees gives the interval of a whole fragment or, if that fails, of each of its windows, stopping where only the fragment itself is
-   left. An interval that holds a smaller document is a match. Matched word ranges return to their documents.
+   left. An interval that holds a smaller document is a match. Matched word ranges are joined by document and return packed by
+   the documents' buckets, as the notes did.
 
 Words are compared by hashes: an anchor by 64 bits, the other words of a window by 40 bits each.
 """
@@ -28,6 +29,8 @@ from .fmindex import FMIndex
 
 #: Words of one FM-index, about.
 SHARD = 1 << 19
+#: Matched ranges that a task holds before it sends them.
+RANGES = 1 << 18
 
 
 def anchors(h: np.ndarray, window: int, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -69,16 +72,44 @@ def _binary(data: np.ndarray, ends: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(np.ascontiguousarray(data).tobytes())])
 
 
-def _ranges(keys: list, starts: np.ndarray, ends: np.ndarray, who: np.ndarray):
-    """Rows (kind 1, key, packed ranges) from ranges of documents, overlapping ones joined."""
-    order = np.lexsort((starts, who))
-    who, starts, ends = who[order], starts[order], ends[order]
-    cut_at = np.flatnonzero(np.diff(who)) + 1
-    for d, s, e in zip(who[np.concatenate([[0], cut_at])] if len(who) else [], np.split(starts, cut_at), np.split(ends, cut_at)):
-        top = np.maximum.accumulate(e)
-        new = np.concatenate([[True], s[1:] > top[:-1]])
-        last = np.concatenate([np.flatnonzero(new)[1:] - 1, [len(s) - 1]])
-        yield keys[d], np.stack([s[new], top[last]], axis=1).astype(np.int32).tobytes()
+def _packed_ranges(ids: np.ndarray, hs: np.ndarray, starts: np.ndarray, ends: np.ndarray, nb: int):
+    """Rows (home bucket, data, number of ranges) from ranges of documents, overlapping ones joined: many documents lie in
+    one row. Data: starts and ends, then of each document the number of its ranges, its key and its hash."""
+    if not len(ids):
+        return
+    home = ids % nb
+    order = np.lexsort((starts, hs, ids, home))
+    ids, hs, home, starts, ends = ids[order], hs[order], home[order], starts[order].astype(np.int64), ends[order].astype(np.int64)
+    doc = np.cumsum(np.concatenate([[0], (ids[1:] != ids[:-1]) | (hs[1:] != hs[:-1])]))
+    far = doc * (int(ends.max()) + 1)
+    top = np.maximum.accumulate(far + ends)  # a document's values are above all of the one before
+    new = np.concatenate([[True], (far + starts)[1:] > top[:-1]]) | np.concatenate([[True], doc[1:] != doc[:-1]])
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(ids)) - 1
+    starts, ends, ids, hs, home, doc = starts[first], (top - far)[last], ids[first], hs[first], home[first], doc[first]
+    edges = np.searchsorted(home, np.arange(nb + 1))
+    for k in np.flatnonzero(np.diff(edges)):
+        x = slice(edges[k], edges[k + 1])
+        lead, many = np.unique(doc[x], return_index=True, return_counts=True)[1:]
+        yield int(k), np.stack([starts[x], ends[x]]).astype(np.int32).tobytes() + many.astype(np.int32).tobytes() + ids[x][lead].tobytes() + hs[x][lead].tobytes(), int(edges[k + 1] - edges[k])
+
+
+def _joined_ranges(rows: list):
+    """(key, hash, packed start-end pairs) of each document of one home bucket's rows, ranges of all rows joined."""
+    parts = []
+    for data, n in rows:
+        docs = (len(data) - 8 * n) // 20
+        many = np.frombuffer(data, np.int32, docs, 8 * n)
+        ids, hs = (np.repeat(np.frombuffer(data[8 * n + 4 * docs + 8 * docs * x : 8 * n + 4 * docs + 8 * docs * (x + 1)], np.int64), many) for x in (0, 1))
+        parts.append((ids, hs, np.frombuffer(data, np.int32, n), np.frombuffer(data, np.int32, n, 4 * n)))
+    for _, data, n in _packed_ranges(*(np.concatenate(c) for c in zip(*parts)), 1):
+        docs = (len(data) - 8 * n) // 20
+        pairs = np.frombuffer(data, np.int32, 2 * n).reshape(2, n).T.copy()
+        edges = np.concatenate([[0], np.cumsum(np.frombuffer(data, np.int32, docs, 8 * n))])
+        ids, hs = (np.frombuffer(data[8 * n + 4 * docs + 8 * docs * x : 8 * n + 4 * docs + 8 * docs * (x + 1)], np.int64) for x in (0, 1))
+        raw = pairs.tobytes()
+        for d in range(docs):
+            yield int(ids[d]), int(hs[d]), raw[8 * edges[d] : 8 * edges[d + 1]]
 
 
 def _pack6(h: np.ndarray) -> bytes:
@@ -271,9 +302,10 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
             new = np.concatenate([[True], (frag[1:] != frag[:-1]) | (content[1:] != content[:-1])])
             group, first = np.cumsum(new) - 1, np.flatnonzero(new)
             later = ids[who] > ids[who[first]][group]
-            known = list(_ranges(list(zip(ids.tolist(), hs.tolist())), place[later], (place + size)[later], who[later]))
+            known = list(_packed_ranges(ids[who[later]], hs[who[later]], place[later], (place + size)[later], nb))
             if known:
-                yield pa.RecordBatch.from_arrays([pa.array([1] * len(known), pa.int8()), pa.array([0] * len(known), pa.int64()), pa.array([k[0] for k, _ in known], pa.int64()), pa.array([k[1] for k, _ in known], pa.int64()), pa.array([r for _, r in known], pa.binary()), pa.array([b""] * len(known), pa.binary())], ["kind", "anchor", "id", "h", "places", "words"])
+                home, data, many = zip(*known)
+                yield pa.RecordBatch.from_arrays([pa.array([1] * len(known), pa.int8()), pa.array(home, pa.int64()), pa.array(many, pa.int64()), pa.array([0] * len(known), pa.int64()), pa.array(data, pa.binary()), pa.array([b""] * len(known), pa.binary())], ["kind", "anchor", "id", "h", "places", "words"])
             # of the smallest document, each text's places travel with the fragment
             mine = np.flatnonzero(~later)
             who_m, group_m = who[mine], group[mine]
@@ -292,36 +324,71 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
             data[ends[:-1]], data[rest] = lead, body.ravel()
             yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(f), np.int8)), pa.array(frag[f].view(np.int64)), pa.array(ids[who[f]]), pa.array(hs[who[f]]), places, _binary(data, ends)], ["kind", "anchor", "id", "h", "places", "words"])
 
+    # kind 1, packed ranges that are known already, passes through: anchor is the documents' home bucket, id the number of ranges
     cut_up = asked.mapInArrow(fragments, "kind byte, anchor long, id long, h long, places binary, words binary")
-    # ranges that are known already pass through by their document's key
-    cut_up = cut_up.withColumn("anchor", F.when(F.col("kind") == 1, F.xxhash64("id")).otherwise(F.col("anchor")))
     shards = cut_up.repartition(nb, "kind", "anchor").sortWithinPartitions("kind", "anchor")
 
     # 3. an FM-index over whole anchors' fragments, about SHARD words at a time
     def match(batches):
-        held, words, now = [], 0, None
+        held, words, now, ready, many = [], 0, None, [], 0
+
+        def packed(rows):
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.int32()))], ["kind", "data", "n"])
+
+        def flush():
+            yield from packed(list(_packed_ranges(*(np.concatenate(c) for c in zip(*ready)), nb)) if ready else [])
+
         for b in batches:
-            keep = b.filter(pa.array(b.column(0).to_numpy() == 1))
-            if keep.num_rows:
-                yield pa.RecordBatch.from_arrays([keep.column(2), keep.column(3), keep.column(4)], ["id", "h", "ranges"])
-            for kind, a, i, t, p, w in zip(*(c.to_pylist() for c in b.columns)):
-                if kind == 1:
-                    continue
+            kinds = b.column(0).to_numpy()
+            if kinds.any():
+                known = b.filter(pa.array(kinds == 1))
+                yield from packed(list(zip(*(known.column(c).to_pylist() for c in (1, 4, 2)))))
+                b = b.filter(pa.array(kinds == 0))
+            for a, i, t, p, w in zip(*(c.to_pylist() for c in b.columns[1:])):
                 if a != now and words >= SHARD:
-                    yield from search(held, window, anchor)
+                    ready.append(search(held, window, anchor))
+                    many += len(ready[-1][0])
                     held, words = [], 0
+                    if many >= RANGES:
+                        yield from flush()
+                        ready, many = [], 0
                 now = a
                 held.append((a, i, t, p, w))
                 words += len(w) // 5 + anchor
         if held:
-            yield from search(held, window, anchor)
+            ready.append(search(held, window, anchor))
+        yield from flush()
+
+    found = shards.mapInArrow(match, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+
+    def gathered(batches):
+        held, now = [], None
+        arrow = (pa.int64(), pa.int64(), pa.binary())
+
+        def close():
+            rows = []
+            for row in _joined_ranges(held) if held else ():
+                rows.append(row)
+                if len(rows) >= 4096:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), arrow)], ["id", "h", "ranges"])
+                    rows = []
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), arrow)], ["id", "h", "ranges"])
 
-    found = shards.mapInArrow(match, KEY + ", ranges binary")
-    return found.groupBy("id", "h").agg(F.collect_list("ranges").alias("ranges"))
+        for b in batches:
+            for k, d, n in zip(*(c.to_pylist() for c in b.columns)):
+                if k != now:
+                    yield from close()
+                    held, now = [], k
+                held.append((d, n))
+        yield from close()
+
+    return found.mapInArrow(gathered, KEY + ", ranges binary")
 
 
 def search(rows: list, window: int, k: int):
-    """Ranges, by document, of the fragments' windows that a smaller document has too: one FM-index over all of them. Equal
+    """Ranges (keys, hashes, starts, ends) of the fragments' windows that a smaller document has too: one FM-index over all of them. Equal
     fragments stand in it once, with their smallest document; for the others of them every window is a match. A window meets only
     those of its own anchor, as the anchor's words are part of it."""
     low: dict[tuple, int] = {}
@@ -389,19 +456,15 @@ def search(rows: list, window: int, k: int):
     a = np.concatenate([np.zeros(int(whole.sum()), np.int64), shift[hit]])
     b = np.concatenate([size[whole], shift[hit] + window])
     hits = [held[f] for f in frag] + beaten
+    none = np.zeros(0, np.int64)
     if not hits:
-        return
+        return none, none, none, none
     a = np.concatenate([a, np.zeros(len(beaten), np.int64)])
     b = np.concatenate([b, [len(f[4]) // 5 + k for f in beaten]]).astype(np.int64)
-    number = {key: i for i, key in enumerate(sorted({(f[1], f[2]) for f in hits}))}
     places = [np.frombuffer(f[3], np.int32) for f in hits]
     times = np.array([len(p) for p in places])
     at = np.concatenate(places).astype(np.int64)
-    who = np.repeat(np.array([number[f[1], f[2]] for f in hits]), times)
-    rows = list(_ranges(list(number), at + np.repeat(a, times), at + np.repeat(b, times), who))
-    for x in range(0, len(rows), 8192):
-        part = rows[x : x + 8192]
-        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k, _ in part], pa.int64()), pa.array([k[1] for k, _ in part], pa.int64()), pa.array([r for _, r in part], pa.binary())], ["id", "h", "ranges"])
+    return np.repeat(np.array([f[1] for f in hits], np.int64), times), np.repeat(np.array([f[2] for f in hits], np.int64), times), at + np.repeat(a, times), at + np.repeat(b, times)
 
 
 def dedup(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_id", text: str = "text", out: str = "kept_text") -> DataFrame:
@@ -427,7 +490,7 @@ def dedup(docs: DataFrame, window: int = 13, anchor: int = 5, key: str = "doc_id
             for d, rs in enumerate(b.column(place).to_pylist()):
                 if rs:
                     x, y = off[d], off[d + 1]
-                    for s, e in np.frombuffer(b"".join(rs), np.int32).reshape(-1, 2):
+                    for s, e in np.frombuffer(rs, np.int32).reshape(-1, 2):
                         keep[x + s : x + e] = False
                     gone[d] = (~keep[x:y]).sum()
             left = flat.filter(pa.array(keep))

@@ -6,21 +6,11 @@ import math
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.model import JoinQuery, Relation
-
-#: A set of keys of at most this many rows is broadcast; its size is known from a count or a bound before.
-BROADCAST_ROWS = 200_000
-#: Rows that a cross product may have.
-PRODUCT_ROWS = 50_000_000
-
-
-def keep(df: DataFrame) -> DataFrame:
-    return df.persist(StorageLevel.MEMORY_AND_DISK)
-
+from ..storage import ProductTooLarge, product, settle, small
 
 def semi(df: DataFrame, r: Relation, attrs=None) -> DataFrame:
     on = [a for a in (attrs or r.attrs) if a in df.columns]
@@ -90,13 +80,15 @@ def triangle(q: JoinQuery, tau=None, heavy: str = "probe", split: str | None = N
     cut = split_at((sizes[r.name], sizes[s.name], sizes[t.name]), tau)
     heavy_keys = r.df.groupBy(b).agg(F.count("*").alias("_deg")).filter(cut.heavy(F.col("_deg"))).select(b)
     tau_value = math.isqrt(cut.num // cut.den) if cut.root and cut.den else cut.num
-    few = sizes[r.name] // max(1, tau_value) <= BROADCAST_ROWS  # there are fewer heavy keys than this
-    keys = F.broadcast(heavy_keys) if few else heavy_keys
+    most = sizes[r.name] // max(1, tau_value)  # there are no more heavy keys than this
+    keys = small(heavy_keys, most)
     light = semi(r.df.join(keys, b, "left_anti").join(s.df, b), t)
     if heavy == "product":
-        if not few:
-            raise ValueError("the heavy keys may be too many for a product: use heavy='probe'")
-        side = semi(semi(t.df.crossJoin(keys), r), s)
+        heavy_keys = settle(heavy_keys, "heavy")
+        try:
+            side = semi(semi(product(t.df, heavy_keys, sizes[t.name]), r), s)
+        except ProductTooLarge as e:
+            raise ProductTooLarge(f"heavy keys times {t.name}: {e}; heavy='probe' makes no product") from None
     elif heavy == "probe":
         side = semi(r.df.join(keys, b, "left_semi").join(t.df, a), s)
     else:
@@ -142,56 +134,83 @@ class NodeSize:
     deferred: int
 
 
+@dataclass
+class Part:
+    """What a node hands up: sets of rows over all attributes, each with the relations it agrees with by construction, and a set
+    of ``rows`` partial rows over the node's label. A row of the join is in one of the sets, or its label part is in ``open``."""
+
+    done: list[tuple[DataFrame, frozenset[str]]]
+    open: DataFrame
+    rows: int
+    exact: str | None = None  # the relation that ``open`` is, at a leaf
+
+
 def join(q: JoinQuery, shape: str = "balanced", trace: list[NodeSize] | None = None) -> DataFrame:
     """All-but-one join over a binary split tree.
 
-    Each node hands up rows over all attributes that are done (emitted) and partial rows over its label whose keys were too
-    heavy to join (deferred). The root multiplies what its sides deferred; in the end every relation filters the emitted rows.
-    One count per inner node is the only thing that reaches the driver. trace: collects exact set sizes per node (extra jobs).
+    At an inner node the left side's partial rows are counted per key of the label; keys that the right side has, too, are
+    joined at once if their count keeps the joined rows within the bound, and handed up else. A child that hands nothing up has all rows of
+    the join already, so its sibling is not looked at. The root joins what is left through the relation that shares attributes with both
+    sides. In the end each set is filtered by the relations that it was not made from.
+    One count per inner node is the only thing that reaches the driver. trace: visits every node and collects exact set sizes (extra jobs).
     """
     if not q.hypergraph.is_all_but_one():
         raise ValueError("not an all-but-one query")
     sizes = q.sizes()
     if 0 in sizes:
         return q.empty()
+    if len(q.attrs) == 2:
+        a, b = q.relations
+        return product(a.df, b.df, a.size, b.size).select(*q.attrs)
     by_gap = {next(iter(set(q.attrs) - set(r.attrs))): r for r in q.relations}
 
-    def note(node, emitted, deferred):
+    def note(node, part: Part) -> Part:
         if trace is not None:
-            trace.append(NodeSize(node.leaves, sum(e.count() for e in emitted), deferred.count() if deferred is not None else 0))
+            trace.append(NodeSize(node.leaves, sum(d.count() for d, _ in part.done), part.rows))
+        return part
 
-    def solve(node: SplitNode, root: bool) -> tuple[list[DataFrame], DataFrame | None, int | None]:
+    def merge(node: SplitNode, left: Part, right: Part) -> Part:
+        """Light keys joined, heavy keys left open."""
+        label = [a for a in q.attrs if a not in node.leaves]
+        done = [*left.done, *right.done]
+        if right.rows == 0:
+            return Part(done, left.open.select(*label).limit(0), 0)
+        most = light_threshold(sizes, right.rows) - 1
+        fan = settle(left.open.groupBy(*label).agg(F.count("*").alias("_fan")).join(right.open.select(*label), label, "left_semi"), "fan")
+        few, many = (n or 0 for n in fan.agg(F.count_if(F.col("_fan") <= most), F.count_if(F.col("_fan") > most)).first())
+        if few:
+            rows = left.open if not many else left.open.join(fan.filter(F.col("_fan") <= most).select(*label), label, "left_semi")
+            done.append((rows.join(right.open, label).select(*q.attrs), frozenset(x.exact for x in (left, right) if x.exact)))
+        return Part(done, fan.filter(F.col("_fan") > most).select(*label), many)
+
+    def through(node: SplitNode, left: Part, right: Part) -> Part:
+        """The root: labels of the two sides are disjoint. A relation of the side with more leaves has all of the one label and all but one
+        attribute of the other: joining through it gives no more rows than the product, which the bound allows."""
+        done = [*left.done, *right.done]
+        if left.rows and right.rows:
+            wide, low, high = (node.right, right, left) if len(node.right.leaves) > 1 else (node.left, left, right)
+            link = min((by_gap[a] for a in wide.leaves), key=lambda r: r.size)
+            rows = semi(link.df, Relation("", low.open)) if low.exact != link.name else link.df
+            done.append((rows.join(high.open, [a for a in high.open.columns if a in link.attrs]).select(*q.attrs), frozenset([link.name, *(x.exact for x in (left, right) if x.exact)])))
+        return Part(done, left.open.limit(0), 0)
+
+    def solve(node: SplitNode, root: bool = False) -> Part:
         if node.left is None:
             r = by_gap[node.leaves[0]]
-            return [], r.df, r.size
-        cl, dl, _ = solve(node.left, False)
-        cr, dr, nr = solve(node.right, False)
-        label = [a for a in q.attrs if a not in node.leaves]
-        if root:
-            # labels of the two sides are disjoint: a product, within the bound by the sizes of deferred sets
-            small = F.broadcast(dr) if (nr if nr is not None else dr.count()) <= BROADCAST_ROWS else dr
-            emitted = [*cl, *cr, dl.crossJoin(small).select(*q.attrs)]
-            note(node, emitted, None)
-            return emitted, None, 0
-        nr = dr.count() if nr is None else nr
-        if nr == 0:
-            return [*cl, *cr], dl.select(*label).limit(0), 0
-        # a label section of the left side counts its rows per key; the right side must have the key, too
-        fan = dl.groupBy(*label).agg(F.count("*").alias("_fan")).join(dr.select(*label).distinct(), label, "left_semi")
-        fan = keep(fan)
-        light = fan.filter(F.col("_fan") + 1 <= light_threshold(sizes, nr)).select(*label)
-        emitted = dl.join(light, label, "left_semi").join(dr, label).select(*q.attrs)
-        deferred = keep(fan.filter(F.col("_fan") + 1 > light_threshold(sizes, nr)).select(*label))
-        out = [*cl, *cr, emitted]
-        note(node, out, deferred)
-        return out, deferred, None
-
-    if len(q.attrs) == 2:
-        a, b = q.relations
-        return a.df.crossJoin(F.broadcast(b.df) if b.size <= BROADCAST_ROWS else b.df).select(*q.attrs)
-    emitted, _, _ = solve(split_tree(q.attrs, shape), True)
-    pieces = [prune(e, q.relations) for e in emitted]
-    return reduce(DataFrame.unionByName, pieces).distinct()
+            return Part([], r.df, r.size, r.name)
+        left = solve(node.left)
+        if left.rows == 0 and trace is None:
+            return left
+        right = solve(node.right)
+        if right.rows == 0 and trace is None:
+            return right
+        return note(node, (through if root else merge)(node, left, right))
+
+    done = solve(split_tree(q.attrs, shape), True).done
+    if not done:
+        return q.empty()
+    out = reduce(DataFrame.unionByName, [prune(d, [r for r in q.relations if r.name not in known]) for d, known in done])
+    return (out.distinct() if len(done) > 1 else out).select(*q.attrs)
 
 
 def invariants(q: JoinQuery, shape: str = "balanced") -> list[tuple[NodeSize, bool]]:

@@ -20,16 +20,19 @@ from pyspark.sql.types import StructType
 from ..plans import anchor as trees
 from ..plans import lp
 from ..plans.model import JoinQuery
-from .allbutone import BROADCAST_ROWS, keep
+from ..storage import product, settle
 from .index import PrefixIndex
 
 
 @dataclass
 class Counters:
-    """What each node did, in bindings (filled only when asked for: each number is a job)."""
+    """What each node did, filled only when asked for, as each number is a job: ``on`` counts bindings (rows), ``budget`` holds
+    what each node gives against its share of the bound, binding by binding (budgets)."""
 
     on: bool = False
+    budget: bool = False
     rows: list[dict] = field(default_factory=list)
+    budgets: list[dict] = field(default_factory=list)
 
 
 def join(q: JoinQuery, cover: Sequence | None = None, order: Sequence[int] | str | None = None, indexes: dict[str, PrefixIndex] | None = None, counters: Counters | None = None) -> DataFrame:
@@ -80,19 +83,23 @@ class _Run:
         self.index = [indexes.get(r.name) or PrefixIndex(r, trees.local_order(r.attrs, total)) for r in rels]
         self.counters = counters
 
-    def note(self, node, what, df):
+    def note(self, node, what: str, rows: int):
         if self.counters.on:
-            self.counters.rows.append({"rank": node.rank, "universe": tuple(sorted(node.universe)), "what": what, "rows": df.count() if isinstance(df, DataFrame) else df})
+            self.counters.rows.append({"rank": node.rank, "universe": tuple(sorted(node.universe)), "what": what, "rows": rows})
 
-    def extend(self, df: DataFrame | None, i: int, bound: frozenset, new: frozenset) -> DataFrame:
-        """Bindings with the new columns of relation i's sections."""
-        table = self.index[i].list((bound & self.edges[i]) | new)
+    def extend(self, df: DataFrame | None, i: int, bound: frozenset, new: frozenset, tests: Sequence[int] = ()) -> DataFrame:
+        """Bindings with the new columns of relation i's sections. Where relation i has no bound column, they meet through a
+        relation that will be tested and has both kinds, so that no product is made."""
         if df is None:
-            return table
-        on = [a for a in self.index[i].order if a in bound & self.edges[i]]
-        if on:
-            return df.join(table, on)
-        return df.crossJoin(F.broadcast(table) if self.index[i].total(new) <= BROADCAST_ROWS else table)
+            return self.index[i].list(new)
+        table = self.index[i].list((bound & self.edges[i]) | new)
+        if not bound & self.edges[i]:
+            link = next((j for j in tests if j != i and self.edges[j] & bound and self.edges[j] & new), None)
+            if link is None:
+                return product(df, table, None, self.index[i].total(new))
+            df = df.join(self.index[link].list(self.edges[link] & (bound | new)), sorted(self.edges[link] & bound))
+            return df.join(table, sorted(self.edges[link] & new))
+        return df.join(table, [a for a in self.index[i].order if a in bound & self.edges[i]])
 
     def counted(self, df: DataFrame, i: int, bound: frozenset, rest: frozenset) -> tuple[DataFrame, object]:
         """The bindings with the size of their section of relation i; those without one fall away."""
@@ -102,6 +109,12 @@ class _Run:
         name = f"_n{i}"
         return df.join(self.index[i].count(on, rest, name), on), F.col(name)
 
+    def branches(self, df: DataFrame, by: str, own: list[str], choice) -> dict:
+        """Bindings by the branch they go to, and how many: settled first, so that no branch repeats the work before it and no
+        plan holds its tree's history. Branches without bindings are left out."""
+        df = settle(df.withColumn(by, choice).select(*own, by), "bindings")
+        return {r[by]: (df.filter(F.col(by) == r[by]).select(*own), r["count"]) for r in df.groupBy(by).count().collect()}
+
     def leaf(self, node, bound: frozenset, df: DataFrame | None) -> DataFrame:
         every, u = range(node.rank + 1), node.universe
         test = lambda d, skip: reduce(lambda x, j: self.index[j].member(x, (bound & self.edges[j]) | u), (j for j in every if j != skip), d)
@@ -110,20 +123,32 @@ class _Run:
             return test(self.extend(None, best, bound, u), best)
         if node.rank == 0:
             return self.extend(df, 0, bound, u)
-        cols, own = [], df.columns
+        cols, own, start = [], df.columns, df
         for i in every:
             df, c = self.counted(df, i, bound, u)
             cols.append(c)
         least = F.least(*cols)
         pick = reduce(lambda acc, i: F.when(cols[i] == least, i).otherwise(acc), reversed(every), F.lit(-1))
-        df = keep(df.withColumn("_pick", pick).select(*own, "_pick"))
-        self.note(node, "leaf bindings", df)
-        return reduce(DataFrame.unionByName, [test(self.extend(df.filter(F.col("_pick") == i).drop("_pick"), i, bound, u), i) for i in every])
+        sent = self.branches(df, "_pick", own, pick)
+        self.note(node, "leaf bindings", sum(n for _, n in sent.values()))
+        made = [test(self.extend(d, i, bound, u, every), i) for i, (d, _) in sorted(sent.items())]
+        return reduce(DataFrame.unionByName, made) if made else self.nothing(start, u)
+
+    def nothing(self, df: DataFrame | None, new: frozenset) -> DataFrame:
+        """No rows over the columns of df and the new ones."""
+        kinds = {f.name: f for i in self.index for f in i.rel.df.schema.fields}
+        fields = ([] if df is None else list(df.schema.fields)) + [kinds[a] for a in sorted(new)]
+        return self.index[0].rel.df.sparkSession.createDataFrame([], StructType(fields))
 
     def solve(self, node, y: tuple[Fraction, ...], bound: frozenset, df: DataFrame | None) -> DataFrame:
         """Rows over bound + universe that all relations of the node agree with, for bindings df over ``bound``."""
-        if node.leaf:
-            return self.leaf(node, bound, df)
+        out = self.leaf(node, bound, df) if node.leaf else self.inner(node, y, bound, df)
+        if self.counters.budget:
+            out = settle(out, "node")
+            self.measure(node, y, bound, df, out)
+        return out
+
+    def inner(self, node, y: tuple[Fraction, ...], bound: frozenset, df: DataFrame | None) -> DataFrame:
         k, anchor = node.rank, self.edges[node.rank]
         outside, inside = node.universe - anchor, node.universe & anchor
         left = self.solve(node.left, y[:k], bound, df) if node.left else df
@@ -133,15 +158,16 @@ class _Run:
         others = [i for i in range(k) if self.edges[i] & inside]
 
         def scan(d: DataFrame | None) -> DataFrame:
-            out = self.extend(d, k, now, inside)
+            out = self.extend(d, k, now, inside, others)
             return reduce(lambda x, i: self.index[i].member(x, (now & self.edges[i]) | (inside & self.edges[i])), others, out)
 
         def descend(d: DataFrame | None) -> DataFrame:
             return self.index[k].member(self.solve(node.right, _child_cover(y, k), now, d), (now & anchor) | inside)
 
         if y[k] >= 1 or node.right is None:
-            if left is not None:
-                self.note(node, "scan (always)", left)
+            if left is not None and self.counters.on:
+                left = settle(left, "bindings")
+                self.note(node, "scan (always)", left.count())
             return scan(left)
         weigh = [i for i in others if y[i] > 0]
         if left is None:
@@ -149,15 +175,36 @@ class _Run:
             recurse = a < math.log(max(1, self.index[k].total(inside)))
             self.note(node, "recurse (all)" if recurse else "scan (all)", 1)
             return descend(None) if recurse else scan(None)
-        own = left.columns
-        terms = []
+        own, start, terms = left.columns, left, []
         for i in weigh:
             left, c = self.counted(left, i, now, inside & self.edges[i])
             terms.append(F.ln(c) * float(y[i] / (1 - y[k])))
         left, c = self.counted(left, k, now, inside)
         check = reduce(lambda a, b: a + b, terms, F.lit(0.0)) < F.ln(c)
-        left = keep(left.withColumn("_in", check).select(*own, "_in"))
-        inner, outer = left.filter("_in").drop("_in"), left.filter("not _in").drop("_in")
-        self.note(node, "recurse", inner)
-        self.note(node, "scan", outer)
-        return descend(inner).unionByName(scan(outer))
+        sent = self.branches(left, "_in", own, check)
+        for name, into in (("recurse", True), ("scan", False)):
+            self.note(node, name, sent[into][1] if into in sent else 0)
+        made = [(descend if into else scan)(d) for into, (d, _) in sorted(sent.items(), reverse=True)]
+        return reduce(DataFrame.unionByName, made) if made else self.nothing(start, inside)
+
+    def measure(self, node, y: tuple[Fraction, ...], bound: frozenset, df: DataFrame | None, out: DataFrame) -> None:
+        """Rows that the node gives against its budget, the product of its sections' sizes to their weights: for each binding."""
+        mine = [i for i in range(node.rank + 1) if self.edges[i] & node.universe]
+        told = {"rank": node.rank, "universe": tuple(sorted(node.universe)), "bound": tuple(sorted(bound))}
+        if df is None:
+            rows = out.count()
+            budget = math.exp(math.fsum(float(y[i]) * math.log(max(1, self.index[i].total(self.edges[i] & node.universe))) for i in mine))
+            self.counters.budgets.append(told | {"bindings": 1, "rows": rows, "budget": budget, "worst": rows / budget})
+            return
+        on = sorted(bound)
+        own, terms = df.select(*on).distinct(), []
+        for i in mine:
+            own, c = self.counted(own, i, bound, self.edges[i] & node.universe)
+            terms.append(F.ln(c) * float(y[i]))
+        budget = own.select(*on, F.exp(reduce(lambda a, b: a + b, terms, F.lit(0.0))).alias("_budget"))
+        given = out.groupBy(*on).agg(F.count("*").alias("_rows"))
+        seen = given.join(budget, on, "full").select(F.coalesce("_rows", F.lit(0)).alias("r"), F.coalesce("_budget", F.lit(0.0)).alias("b"))
+        # rows of a binding without sections would be beyond any budget
+        used = F.when((F.col("r") > 0) & (F.col("b") > 0), F.col("r") / F.col("b")).when(F.col("r") > 0, float("inf")).otherwise(0.0)
+        n, rows, total, worst = seen.agg(F.count("*"), F.sum("r"), F.sum("b"), F.max(used)).first()
+        self.counters.budgets.append(told | {"bindings": n, "rows": rows or 0, "budget": total or 0.0, "worst": worst or 0.0})

@@ -42,8 +42,12 @@ def bushy(q: JoinQuery, tree, trace: list[int] | None = None) -> DataFrame:
 
 
 def dp_tree(q: JoinQuery):
-    """Cheapest pairwise tree by dynamic programming over subsets, with textbook estimates: size of a join is the product over
-    the larger number of distinct values of each shared attribute."""
+    return dp_plan(q)[0]
+
+
+def dp_plan(q: JoinQuery):
+    """(tree, estimated rows of all its joins) of the cheapest pairwise tree by dynamic programming over subsets, with textbook estimates: size
+    of a join is the product over the larger number of distinct values of each shared attribute."""
     sizes = q.sizes()
     seen = q.relations
     distinct = [r.df.agg(*(F.approx_count_distinct(a).alias(a) for a in r.attrs)).first().asDict() for r in seen]
@@ -61,7 +65,8 @@ def dp_tree(q: JoinQuery):
                     nd = {c: min(rows, a[2].get(c, float("inf")), b[2].get(c, float("inf"))) for c in set(a[2]) | set(b[2])}
                     options.append((a[0] + b[0] + rows, rows, nd, (a[3], b[3])))
             best[s] = min(options, key=lambda o: (o[0], str(o[3])))
-    return best[frozenset(range(len(seen)))][3]
+    cost, _, _, tree = best[frozenset(range(len(seen)))]
+    return tree, cost
 
 
 def dp_order(q: JoinQuery) -> DataFrame:

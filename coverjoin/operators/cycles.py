@@ -13,12 +13,16 @@ from pyspark.sql import functions as F
 
 from ..plans import lp
 from ..plans.model import Hypergraph, JoinQuery, Relation
-from .allbutone import BROADCAST_ROWS, PRODUCT_ROWS, keep, semi, triangle
+from ..storage import PRODUCT_ROWS, product, settle
+from .allbutone import semi, triangle
 
 
 def _cross(rels: Sequence[Relation]) -> DataFrame:
-    rels = sorted(rels, key=lambda r: -r.size)
-    return reduce(lambda d, r: d.crossJoin(F.broadcast(r.df) if r.size <= BROADCAST_ROWS else r.df), rels[1:], rels[0].df)
+    out, rows = None, 1
+    for r in sorted(rels, key=lambda r: -r.size):
+        out = r.df if out is None else product(out, r.df, rows, r.size)
+        rows *= r.size
+    return out
 
 
 def _linked(parts: Sequence[Relation], links: Sequence[Relation]) -> DataFrame:
@@ -29,7 +33,7 @@ def _linked(parts: Sequence[Relation], links: Sequence[Relation]) -> DataFrame:
         have = set(out.columns)
         step = next(((p, s) for p in parts for s in links if set(s.attrs) & have and set(s.attrs) & set(p.attrs)), None)
         if step is None:
-            out = out.crossJoin(parts.pop(0).df)
+            out = product(settle(out), parts.pop(0).df)
             continue
         p, s = step
         parts.remove(p)
@@ -108,13 +112,13 @@ def odd_cycle(q: JoinQuery, form: str = "linked", plan: OddPlan | None = None) -
         x = reduce(semi, inner, _cross(half))
     else:
         x = _linked(half, inner)
-    x = keep(x)
+    x = settle(x, "half")
     ends = [v for v in x.columns if sum(v in r.attrs for r in ring[: n - 2]) == 1]
     first = next(v for v in ends if v in ring[n - 1].attrs)
     last = next(v for v in ends if v in ring[n - 2].attrs)
     middle = [v for v in x.columns if v not in (first, last)]
     apex = next(v for v in ring[n - 1].attrs if v != first)
-    w = keep(x.select(*middle).distinct())
+    w = settle(x.select(*middle).distinct(), "inner")
     plan.inner = w.count()
     limit = math.isqrt(math.prod(r.size for r in ring))
     if plan.inner * ring[n - 2].size <= limit:
@@ -124,7 +128,7 @@ def odd_cycle(q: JoinQuery, form: str = "linked", plan: OddPlan | None = None) -
     # bundle: the inner vertices with the end that the second side has
     bundle = [*middle, end]
     key = F.struct(*bundle).alias("_bundle")
-    pairs = keep(x.select(*bundle).distinct())  # W meets the edge only where X has the end, too
+    pairs = x.select(*bundle).distinct()  # W meets the edge only where X has the end, too
     side = pairs.join(near.df, end)
     tri = JoinQuery([Relation("X", x.select(other, key).distinct()), Relation("Y", side.select(key, apex).distinct()), Relation("Z", far.df.select(other, apex))])
     return triangle(tri, split="_bundle").select(other, apex, *(F.col(f"_bundle.{b}").alias(b) for b in bundle)).select(*q.attrs)
@@ -202,5 +206,5 @@ def graph_join(q: JoinQuery, form: str = "linked") -> DataFrame:
             out = out.join(f.df, [a for a in f.attrs if a in out.columns]).join(p, [a for a in f.attrs if a in p.columns])
         else:
             p = parts[0]
-            out = out.crossJoin(p)
+            out = product(settle(out), settle(p))
         parts = [x for x in parts if x is not p]

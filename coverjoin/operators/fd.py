@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 
 from ..plans import bounds
 from ..plans.model import FD, JoinQuery, Relation
+from ..storage import small
 from . import anchored
-from .allbutone import BROADCAST_ROWS
 
 
 def closure(fds: Sequence[FD], attrs) -> frozenset:
@@ -38,7 +38,7 @@ def expand(q: JoinQuery, fds: Sequence[FD]) -> JoinQuery:
     for f in fds:
         owner = by_name[f.relation]
         m = owner.project([f.u, f.v])
-        maps[f] = F.broadcast(m) if owner.size <= BROADCAST_ROWS else m
+        maps[f] = small(m, owner.size)
     out: dict[frozenset, list[Relation]] = {}
     for r in q.relations:
         df, have, more = r.df, list(r.attrs), True

@@ -8,11 +8,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.model import Relation
-from .allbutone import keep
+from ..storage import settle
 
 
 class PrefixIndex:
-    """Distinct projections of one relation and counts of sections, made on first use and kept.
+    """Distinct projections of one relation and counts of sections: plans over the relation's table, or tables of their own where
+    they were counted, saved or loaded.
 
     count(prefix, rest): for each value of the prefix, how many values of ``rest`` it has. With an empty prefix that is one
     number, found once in the driver.
@@ -28,28 +29,28 @@ class PrefixIndex:
         key = frozenset(attrs)
         if key == frozenset(self.rel.attrs):
             return self.rel.df
-        if key not in self._lists:
-            self._lists[key] = keep(self.rel.project(a for a in self.order if a in key))
-        return self._lists[key]
+        return self._lists[key] if key in self._lists else self.rel.project(a for a in self.order if a in key)
 
     def count(self, prefix, rest, name: str = "_count") -> DataFrame:
         key = (frozenset(prefix), frozenset(rest))
-        if key not in self._counts:
-            self._counts[key] = keep(self.list(key[0] | key[1]).groupBy(*(a for a in self.order if a in key[0])).agg(F.count("*").alias("_count")))
-        return self._counts[key].withColumnRenamed("_count", name)
+        made = self._counts[key] if key in self._counts else self.list(key[0] | key[1]).groupBy(*(a for a in self.order if a in key[0])).agg(F.count("*").alias("_count"))
+        return made.withColumnRenamed("_count", name)
 
     def total(self, attrs) -> int:
         key = frozenset(attrs)
         if key == frozenset(self.rel.attrs) and self.rel.size is not None:
             return self.rel.size
         if key not in self._totals:
-            self._totals[key] = self.list(key).count()
+            # counting makes the rows: they are settled, as a section that is counted is mostly listed, too
+            self._lists[key] = settle(self.list(key), "section")
+            self._totals[key] = self._lists[key].count()
         return self._totals[key]
 
     def member(self, df: DataFrame, attrs) -> DataFrame:
         """Rows of df whose values of ``attrs`` occur in the relation."""
         on = [a for a in self.order if a in set(attrs)]
-        return df.join(self.list(on), on, "left_semi") if on else df
+        # a semijoin needs no distinct rows on its right
+        return df.join(self._lists.get(frozenset(on), self.rel.df).select(*on), on, "left_semi") if on else df
 
     def save(self, path: str) -> None:
         """All prefixes of the order with their counts of next values, each sorted; a later query needs no pass over the

@@ -2,17 +2,17 @@
 
 from __future__ import annotations
 
-import math
 import time
 from collections.abc import Callable, Sequence
-from fractions import Fraction
+from functools import reduce
+from itertools import permutations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans import anchor as trees
 from ..plans import bounds, lp
-from ..plans.model import JoinQuery
+from ..plans.model import JoinQuery, Relation
 from . import allbutone, anchored, baselines
 
 
@@ -64,20 +64,13 @@ def case_counts(q: JoinQuery, **how) -> list[dict]:
     return c.rows
 
 
-def node_budget(q: JoinQuery, cover: Sequence[Fraction] | None = None) -> list[dict]:
-    """For each node on the root's left spine (where nothing is bound): rows that it gives and its budget, the product of
-    projections' sizes to their weights."""
-    h, sizes = q.hypergraph, q.sizes()
-    y = tuple(cover or lp.optimal_cover(h, sizes))
-    tree, order = trees.build(h)
-    run = anchored._Run([q.relations[i] for i in order], trees.attribute_order(h, tree, order), {}, anchored.Counters())
-    out, node, y = [], tree, tuple(y[i] for i in order)
-    while node:
-        rows = run.solve(node, y[: node.rank + 1], frozenset(), None).count()
-        budget = math.exp(math.fsum(float(y[i]) * math.log(max(1, run.index[i].total(run.edges[i] & node.universe))) for i in range(node.rank + 1) if run.edges[i] & node.universe))
-        out.append({"universe": tuple(sorted(node.universe)), "rows": rows, "budget": budget})
-        node = node.left
-    return out
+def node_budget(q: JoinQuery, **how) -> list[dict]:
+    """For each node that the general method visits: its bindings, the rows it gives and the sum of the bindings' budgets, a
+    budget being the product of the sections' sizes to their weights; worst: the largest share of its budget that a
+    binding uses. All in the one run."""
+    c = anchored.Counters(budget=True)
+    anchored.join(q, counters=c, **how)
+    return c.budgets
 
 
 def phases(q: JoinQuery, **how) -> dict[str, float]:
@@ -92,11 +85,64 @@ def phases(q: JoinQuery, **how) -> dict[str, float]:
     return {"data": t1 - t0, "query": t2 - t1, "evaluation": time.perf_counter() - t2, "rows": rows}
 
 
-def growth(make: Callable[[int], JoinQuery], ns: Sequence[int]) -> list[dict]:
-    """Largest pairwise intermediate and output of a family as it grows."""
+def growth(make: Callable[[int], JoinQuery], ns: Sequence[int]) -> list[tuple[int, int, int, int]]:
+    """For a family of triangles as it grows: n, largest intermediate of the pairwise plan (both exact, from degrees), rows that the
+    heavy/light method makes, bound."""
     out = []
     for n in ns:
-        q, trace = make(n), []
-        baselines.left_deep(q, trace=trace)
-        out.append({"n": n, "pairwise": max(trace), "bound": bounds.floor_bound(q.hypergraph, q.sizes())})
+        q = make(n)
+        split = split_sizes(q).first()
+        out.append((n, allbutone.split_costs(q)[q.attrs[1]], split["heavy_product"] + split["light_join"], bounds.floor_bound(q.hypergraph, q.sizes())))
     return out
+
+
+def plan_gap(q: JoinQuery) -> dict:
+    """The left-deep plan without products whose largest intermediate is least, that intermediate, and its ratio to the cover bound.
+    Intermediates are counted, so this is for small inputs and few relations."""
+    best = None
+    for order in permutations(range(len(q.relations))):
+        have, linked = set(q.relations[order[0]].attrs), True
+        for i in order[1:]:
+            linked &= bool(have & set(q.relations[i].attrs))
+            have |= set(q.relations[i].attrs)
+        if linked and order[0] < order[1]:
+            trace: list[int] = []
+            baselines.left_deep(q, order, trace)
+            best = min(best, (max(trace), order)) if best else (max(trace), order)
+    return {"largest": best[0], "order": best[1], "gap": best[0] / max(1.0, bounds.cover_bound(q.hypergraph, q.sizes()))}
+
+
+def index_cost(r: Relation) -> list[tuple[str, int]]:
+    """Rows of the prefix tables of all column orders of a relation: what its indexes cost to keep."""
+    out: dict[tuple[str, ...], int] = {}
+    for order in permutations(r.attrs):
+        for k in range(1, len(order) + 1):
+            same = next((p for p in out if set(p) == set(order[:k])), None)
+            out[order[:k]] = out[same] if same else r.project(order[:k]).count()
+    return [(",".join(p), n) for p, n in out.items()]
+
+
+def key_skew(r: Relation) -> DataFrame:
+    """attribute, largest number of rows that one of its values has, and its ratio to the mean."""
+    one = lambda a: r.df.groupBy(a).agg(F.count("*").alias("n")).agg(F.lit(a).alias("attribute"), F.max("n").alias("largest"), F.round(F.max("n") / F.avg("n"), 6).alias("ratio"))
+    return reduce(DataFrame.unionByName, map(one, r.attrs))
+
+
+def moved(spark, run: Callable[[], object]) -> dict[str, float]:
+    """Megabytes shuffled and spilled by all stages that ``run`` starts, and the largest share of a stage's shuffled rows that one of
+    its tasks read; from Spark's own status store."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    empty = spark.sparkContext._jvm.java.util.ArrayList()
+
+    def stages():
+        it = store.stageList(empty, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), empty).iterator()
+        out = {}
+        while it.hasNext():
+            s = it.next()
+            out[s.stageId(), s.attemptId()] = (s.shuffleWriteBytes(), s.diskBytesSpilled())
+        return out
+
+    before = stages()
+    run()
+    new = [v for k, v in stages().items() if k not in before]
+    return {"stages": len(new), "shuffle_mb": round(sum(v[0] for v in new) / 1e6, 2), "spill_mb": round(sum(v[1] for v in new) / 1e6, 2)}

@@ -11,8 +11,8 @@ from pyspark.sql import functions as F
 
 from ..plans import bounds, lp
 from ..plans.model import Hypergraph, JoinQuery
+from ..storage import settle
 from . import anchored
-from .allbutone import keep
 
 MOST_SETS = 100_000
 
@@ -82,7 +82,7 @@ def join(q: JoinQuery, r: int, share: bool = True) -> DataFrame:
     if not sets:
         return q.empty()
     rows = reduce(DataFrame.unionByName, [anchored.join(q.pick(sorted(s), q.attrs)) for s in sets])
-    rows = keep(rows.distinct()) if len(sets) > 1 else rows
+    rows = settle(rows.distinct(), "candidates") if len(sets) > 1 else rows
     always = frozenset.intersection(*sets)
     for i, rel in enumerate(q.relations):
         if i not in always:

@@ -6,11 +6,12 @@ from collections.abc import Iterable
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..storage import settle_all, shuffles
+
 
 @dataclass(frozen=True)
 class Hypergraph:
@@ -107,11 +108,13 @@ class JoinQuery:
         return self.relations[0].df.sparkSession
 
     def sizes(self) -> list[int]:
-        """Row counts of all relations, in one job for those that are not known yet. The rows are kept (memory, then local disks) as they
-        are counted: degrees, indexes and the join itself read them again, and repeated rows were dropped by a shuffle."""
+        """Row counts of all relations, in one job for those that are not known yet. Relations that a shuffle makes (most often the one
+        that drops repeated rows) are settled first, as degrees, sections and the join itself read them again; bare scans stay scans."""
         missing = [i for i, r in enumerate(self.relations) if r.size is None]
         if missing:
-            self.relations = tuple(replace(r, df=r.df.persist(StorageLevel.MEMORY_AND_DISK)) if i in missing else r for i, r in enumerate(self.relations))
+            made = [i for i in missing if shuffles(self.relations[i].df)]
+            tables = dict(zip(made, settle_all([self.relations[i].df for i in made], "relation")))
+            self.relations = tuple(replace(r, df=tables.get(i, r.df)) for i, r in enumerate(self.relations))
             counts = reduce(DataFrame.unionAll, [self.relations[i].df.select(F.lit(i).alias("i")) for i in missing]).groupBy("i").count().collect()
             got = {r["i"]: r["count"] for r in counts}
             self.relations = tuple(replace(r, size=got.get(i, 0)) if i in missing else r for i, r in enumerate(self.relations))

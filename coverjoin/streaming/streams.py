@@ -4,13 +4,15 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..operators import allbutone, anchored
+from ..operators import anchored
 from ..plans.model import JoinQuery, Relation
+from ..storage import settle
 
 
 def source(spark: SparkSession, sf_dir: str, table: str = "events", per_batch: int = 1) -> DataFrame:
@@ -81,13 +83,10 @@ def delta_triangle(edges: DataFrame, name: str) -> DataFrame:
     def step(batch: DataFrame, _: int) -> None:
         new = batch.select("x", "y").distinct()
         old = found["edges"][-1] if found["edges"] else None
-        new = allbutone.keep(new if old is None else new.join(old, ["x", "y"], "left_anti"))
-        new.count()
+        new = settle(new if old is None else new.join(old, ["x", "y"], "left_anti"))
         rows = delta_join(three(old) if old is not None else None, three(new))
-        found["rows"].append(allbutone.keep(rows))
-        found["rows"][-1].count()
-        found["edges"].append(allbutone.keep(new if old is None else old.unionByName(new)))
-        found["edges"][-1].count()
+        found["rows"].append(settle(rows))
+        found["edges"].append(settle(new if old is None else old.unionByName(new)))
 
     each_batch(edges, step)
     out = found["rows"][0] if found["rows"] else spark.createDataFrame([], "a long, b long, c long")
@@ -106,14 +105,10 @@ def static_triangle(edges: DataFrame, static: DataFrame) -> DataFrame:
 def last_user(df: DataFrame) -> DataFrame:
     """Hand-offs between consecutive users of one type of event within a batch and across batches, by per-key state."""
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        last = state.get[0] if state.exists else None
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        out = []
-        for u in rows["user_id"]:
-            if last is not None and u != last:
-                out.append((key[0], min(u, last), max(u, last)))
-            last = int(u)
-        state.update((last,))
-        yield pd.DataFrame(out, columns=["event_type", "x", "y"]).astype({"x": "int64", "y": "int64"})
+        users = pd.concat(list(frames)).sort_values(["ts", "event_id"])["user_id"].to_numpy(np.int64)
+        before = np.concatenate([[state.get[0] if state.exists else users[0]], users[:-1]])
+        change = users != before
+        state.update((int(users[-1]),))
+        yield pd.DataFrame({"event_type": key[0], "x": np.minimum(users, before)[change], "y": np.maximum(users, before)[change]})
 
     return df.groupBy("event_type").applyInPandasWithState(step, "event_type string, x long, y long", "last long", "append", GroupStateTimeout.NoTimeout)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame
@@ -14,6 +13,7 @@ from .functions.grouped import heavy_summary
 from .operators import allbutone, metrics, planner
 from .sources.relations import load, read, relation, write
 from .sql import cover_join
+from .storage import scratch
 from .streaming import streams
 from .workloads import EDGE_TRIANGLE, OL, REL, TRIANGLE, W04_SQL, edges, facts, ol, query, three
 
@@ -116,9 +116,9 @@ def interval_join(left: DataFrame, right: DataFrame, at: str, start: str, end: s
     return left.withColumn("_cell", F.floor(F.col(at) / width)).join(cells, "_cell").filter((F.col(at) >= F.col(start)) & (F.col(at) < F.col(end))).drop("_cell")
 
 
-@query("join_interval", "SELECT e.event_id, CAST(p.p_partkey AS BIGINT) AS p FROM events e JOIN part p ON e.value >= p.p_size AND e.value < p.p_size + 0.25 WHERE p.p_partkey < 50")
+@query("join_interval", "SELECT e.event_id, CAST(p.p_partkey AS BIGINT) AS p FROM events e JOIN part p ON e.value >= p.p_size AND e.value < p.p_size + 0.25")
 def _(spark, d):
-    iv = load(spark, d, "part").filter("p_partkey < 50").select(F.col("p_partkey").cast("long").alias("p"), F.col("p_size").cast("double").alias("a"), (F.col("p_size") + F.lit(0.25)).alias("z"))
+    iv = load(spark, d, "part").select(F.col("p_partkey").cast("long").alias("p"), F.col("p_size").cast("double").alias("a"), (F.col("p_size") + F.lit(0.25)).alias("z"))
     return interval_join(load(spark, d, "events").select("event_id", "value"), iv, "value", "a", "z", 1.0).select("event_id", "p")
 
 
@@ -137,9 +137,11 @@ query("agg_partial_final", "SELECT l_returnflag AS f, count(*) AS n, CAST(sum(CA
 )
 
 
-@query("degree_approx")
+@query("degree_approx", PAIRS + "SELECT c, count(*) AS degree, TRUE AS near FROM cs GROUP BY c")
 def _(spark, d):
-    return facts(spark, d)["cs"].df.groupBy("c").agg(F.approx_count_distinct("s").alias("about"))
+    """Approximate degrees, held against the exact ones: within five times the sketch's relative error."""
+    seen = facts(spark, d)["cs"].df.groupBy("c").agg(F.approx_count_distinct("s", 0.05).alias("about"), F.count("*").alias("degree"))
+    return seen.select("c", "degree", (F.abs(F.col("about") - F.col("degree")) <= 0.25 * F.col("degree") + 1).alias("near"))
 
 
 @query("agg_rollup_join", f"WITH e AS ({REL['edges']}), t AS ({EDGE_TRIANGLE}) SELECT a % 3 AS g, b % 2 AS h, count(*) AS n FROM t GROUP BY ROLLUP (a % 3, b % 2)")
@@ -167,10 +169,11 @@ def _(spark, d):
     return k.join(t, "v", "left").select("v", F.round(2.0 * F.coalesce("n", F.lit(0)) / (F.col("k") * (F.col("k") - 1)), 6).alias("coefficient"))
 
 
-@query("heavy_share")
+@query("heavy_share", PAIRS + """, n AS (SELECT c % 4 AS g, count(*) AS degree FROM cs GROUP BY c), r AS (SELECT g, degree, row_number() OVER (PARTITION BY g ORDER BY degree DESC) AS place, count(*) OVER (PARTITION BY g) AS k FROM n)
+    SELECT g, round(sum(CASE WHEN place <= greatest(1, k // 10) THEN degree ELSE 0 END) / sum(degree), 9) AS share FROM r GROUP BY g""")
 def _(spark, d):
     deg = facts(spark, d)["cs"].df.groupBy("c").agg(F.count("*").alias("degree"))
-    return deg.groupBy((F.col("c") % 4).alias("g")).agg(heavy_summary()("degree").alias("share"))
+    return deg.groupBy((F.col("c") % 4).alias("g")).agg(F.round(heavy_summary()("degree"), 9).alias("share"))
 
 
 # -- windows, order, sets
@@ -192,8 +195,7 @@ query("set_union", "SELECT c_nationkey AS n FROM customer UNION SELECT s_nationk
 
 
 def _path(spark, what: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}"
-    return f"{base}/coverjoin/{what}-{uuid.uuid4().hex}"
+    return scratch(spark, what)
 
 
 def _roundtrip(fmt: str):
@@ -224,10 +226,19 @@ def _(spark, d):
     return cover_join(spark, "edge_r NATURAL JOIN edge_s NATURAL JOIN edge_t").select("a", "b", "c")
 
 
-@query("sql_cover_bound", "SELECT CAST(8 AS BIGINT) AS bound, CAST(8 AS BIGINT) AS report")
+@query("sql_cover_bound", f"WITH e AS ({REL['edges']}) SELECT CAST(floor(power(count(*), 1.5) + 1e-6) AS BIGINT) AS bound, CAST(floor(power(count(*), 1.5) + 1e-6) AS BIGINT) AS report FROM e")
 def _(spark, d):
     scalar.register(spark)
-    return spark.sql("SELECT CAST(round(cover_bound(array(4L, 4L, 4L), array(0.5D, 0.5D, 0.5D))) AS BIGINT) AS bound, CAST(r.value AS BIGINT) AS report FROM bound_report('a,b;b,c;a,c', '4;4;4') r WHERE r.measure = 'cover'")
+    n = edges(spark, d).count()
+    return spark.sql(f"SELECT CAST(floor(cover_bound(array({n}L, {n}L, {n}L), array(0.5D, 0.5D, 0.5D)) + 1e-6) AS BIGINT) AS bound, CAST(r.value AS BIGINT) AS report FROM bound_report('a,b;b,c;a,c', '{n};{n};{n}') r WHERE r.measure = 'cover'")
+
+
+@query("sql_cells", f"WITH e AS ({REL['edges']}) SELECT count(*) * 4 AS n_rows, CAST(8 AS BIGINT) AS n_cells FROM e")
+def _(spark, d):
+    """The table function that deals a row to its cells: two of three attributes are known, the third has four shares."""
+    scalar.register(spark)
+    edges(spark, d).createOrReplaceTempView("edges_to_deal")
+    return spark.sql("SELECT count(*) AS n_rows, count(DISTINCT c.cell) AS n_cells FROM edges_to_deal e, LATERAL cells(array(e.x, e.y, NULL), array(2, 1, 4)) c")
 
 
 @query("guard_output", "SELECT TRUE AS refused")
@@ -261,9 +272,10 @@ _stream("stream_tumbling", streams.tumbling, "SELECT date_trunc('day', ts) AS st
 _stream("stream_sliding", streams.sliding, "SELECT time_bucket(INTERVAL 15 MINUTE, ts) - to_minutes(15 * k) AS start, count(*) AS n_events FROM events CROSS JOIN (SELECT unnest(range(4)) AS k) GROUP BY ALL", "complete")
 _stream("stream_heavy", lambda s: streams.heavy_per_window(s, 5), "SELECT date_trunc('day', ts) AS start, user_id, count(*) AS degree FROM events GROUP BY ALL HAVING count(*) > 5", "complete")
 _stream("stream_dedupe", lambda s: streams.as_set(s, ["user_id", "event_type"], "3650 days").select("user_id", "event_type"), "SELECT DISTINCT user_id, event_type FROM events")
-query("stream_session")(lambda spark, d: streams.drain(streams.sessions(streams.source(spark, d)), f"stream_session_{uuid.uuid4().hex[:8]}"))
-query("stream_watermark")(lambda spark, d: streams.drain(streams.tumbling(streams.source(spark, d)), f"stream_watermark_{uuid.uuid4().hex[:8]}"))
-query("stream_handoff")(lambda spark, d: streams.drain(streams.last_user(streams.source(spark, d)), f"stream_handoff_{uuid.uuid4().hex[:8]}"))
+query("stream_session", """WITH l AS (SELECT *, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) >= INTERVAL 30 MINUTE, TRUE) AS fresh FROM events), s AS (SELECT *, sum(fresh::INT) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM l)
+    SELECT user_id, min(ts) AS start, count(*) AS n_events FROM s GROUP BY user_id, k HAVING max(ts) + INTERVAL 30 MINUTE <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR""")(lambda spark, d: streams.drain(streams.sessions(streams.source(spark, d)), f"stream_session_{uuid.uuid4().hex[:8]}"))
+query("stream_watermark", "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n_events FROM events GROUP BY ALL HAVING date_trunc('day', min(ts)) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR")(lambda spark, d: streams.drain(streams.tumbling(streams.source(spark, d)), f"stream_watermark_{uuid.uuid4().hex[:8]}"))
+query("stream_handoff", "SELECT event_type, least(u, v) AS x, greatest(u, v) AS y FROM (SELECT event_type, user_id AS u, lag(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS v FROM events) WHERE u <> v")(lambda spark, d: streams.drain(streams.last_user(streams.source(spark, d)), f"stream_handoff_{uuid.uuid4().hex[:8]}"))
 
 
 @query("stream_static_triangle", f"WITH e AS ({REL['edges']}) SELECT r.x, s.y AS z, r.y FROM e r JOIN e s ON s.x = r.x JOIN e t ON t.x = s.y AND t.y = r.y")

@@ -1,6 +1,6 @@
 """Runs the headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS] and prints one JSON line.
 
-Each query has $BENCH_LIMIT seconds (default 90); one that is stopped there counts with its limit and is listed as over_limit.
+Each query has $BENCH_LIMIT seconds (default 60); one that is stopped there counts with its limit and is listed as over_limit.
 Beside the seconds the line tells rows, megabytes shuffled and spilled, the phases of the general method, and seconds by cycle length.
 """
 
@@ -23,7 +23,7 @@ HEADLINES = [
 def main() -> None:
     sf = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     cpus = os.environ.get("BENCH_CPUS", "8")
-    limit = float(os.environ.get("BENCH_LIMIT", "90"))
+    limit = float(os.environ.get("BENCH_LIMIT", "60"))
     spark = (
         SparkSession.builder.master(f"local[{cpus}]")
         .config("spark.sql.shuffle.partitions", str(max(8, 2 * int(cpus))) if cpus.isdigit() else "16")

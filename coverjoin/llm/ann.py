@@ -73,32 +73,46 @@ class Block:
         return self.ids[found][best], score[best]
 
 
-def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, lines: int = 64, threshold: float = 0.56, first: float = 0.3, ratio: float = 1.4, width: float = 1.0, block: int = 1 << 14, chunk: int = 256, seed: int = 3, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
+def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, lines: int = 64, threshold: float = 0.56, first: float = 0.3, ratio: float = 1.4, width: float = 1.0, block: int = 1 << 13, seed: int = 3, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """The k rows of largest cosine found for each query: query_id, rank (from 1), vec_id, score. A row is no candidate of a
     query with the same key. Vectors that are null, zero, or hold null or non-finite components take no part; only vectors of
     equal length are compared. Ties go to the smaller key; fewer than k candidates are all returned. Repeated keys are
-    separate candidates. Empty tables give no rows. Blocks and chunks of queries have fixed sizes; their numbers grow.
+    separate candidates. Empty tables give no rows. Blocks have a fixed size, their number grows: every row is sent once,
+    to its block, and every query to all blocks, through which queries stream a batch at a time.
     """
     slim = lambda df: df.filter(usable(F.col(vector))).select(F.col(key).cast("long").alias("id"), F.col(vector).cast("array<double>").alias("v"), F.size(vector).alias("dim")).filter("id is not null")
     data, asked = slim(rows), slim(queries)
-    n, nq = data.count(), asked.count()
-    blocks, chunks = max(1, -(-n // block)), max(1, -(-nq // chunk))
-    data = data.withColumn("b", F.pmod(F.xxhash64("id"), F.lit(blocks))).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))))
-    asked = asked.withColumn("c", F.pmod(F.xxhash64("id", F.lit(1)), F.lit(chunks)).cast("int")).withColumn("b", F.explode(F.expr(f"sequence(0L, {blocks - 1}L)")))
+    blocks = max(1, -(-data.count() // block))
+    data = data.select(F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("b"), "dim", F.lit(0).alias("kind"), "id", "v")
+    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("b"), "dim", F.lit(1).alias("kind"), "id", "v")
+    dealt = data.unionByName(asked).repartitionById(blocks, "b").sortWithinPartitions("b", "dim", "kind")
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        out: list[list] = [[], [], []]
-        if left.num_rows and right.num_rows:
-            dim = left.column("dim")[0].as_py()
-            index = Block(left.column("id").to_numpy(), matrix(left.column("v"), dim), lines, seed)
-            for qid, q in zip(right.column("id").to_pylist(), matrix(right.column("v"), dim)):
-                ids, score = index.search(qid, q, k, threshold, first, ratio, width)
-                out[0] += [qid] * len(ids)
-                out[1] += ids.tolist()
-                out[2] += score.tolist()
-        return pa.table({"query_id": pa.array(out[0], pa.int64()), "vec_id": pa.array(out[1], pa.int64()), "score": pa.array(out[2], pa.float64())})
+    def run(batches):
+        now, held, index = None, [], None
+        for b in batches:
+            dims, kinds, ids = (b.column(c).to_numpy() for c in (1, 2, 3))
+            edges = np.concatenate([[0], np.flatnonzero((np.diff(dims) != 0) | (np.diff(kinds) != 0) | (np.diff(b.column(0).to_numpy()) != 0)) + 1, [b.num_rows]])
+            for lo, hi in zip(edges[:-1], edges[1:]):
+                if lo == hi:
+                    continue
+                if (b.column(0)[int(lo)].as_py(), dims[lo]) != now:
+                    now, held, index = (b.column(0)[int(lo)].as_py(), dims[lo]), [], None
+                x = matrix(b.column(4).slice(lo, hi - lo), int(dims[lo]))
+                if kinds[lo] == 0:
+                    held.append((ids[lo:hi], x))
+                    continue
+                if held and index is None:
+                    index = Block(*(np.concatenate(c) for c in zip(*held)), lines, seed)
+                if index is None:
+                    continue
+                out: list[list] = [[], [], []]
+                for qid, q in zip(ids[lo:hi].tolist(), x):
+                    near, score = index.search(qid, q, k, threshold, first, ratio, width)
+                    out[0] += [qid] * len(near)
+                    out[1] += near.tolist()
+                    out[2] += score.tolist()
+                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.float64())], ["query_id", "vec_id", "score"])
 
-    by = ["b", "c", "dim"]
-    found = data.groupBy(*by).cogroup(asked.groupBy(*by)).applyInArrow(run, "query_id long, vec_id long, score double")
+    found = dealt.mapInArrow(run, "query_id long, vec_id long, score double")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -2,53 +2,38 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import drop, scratch, settle, shared_dir  # noqa: F401
+
 #: A word is a run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
-_own_dir: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """Folder seen by the driver and all executors: spark.checkpoint.dir, or a temporary one where that is unset (tests)."""
-    at = spark.conf.get("spark.checkpoint.dir", None)
-    if at:
-        return at.rstrip("/")
-    if not _own_dir:
-        _own_dir.append(tempfile.mkdtemp(prefix="coverjoin-"))
-        atexit.register(shutil.rmtree, _own_dir[0], ignore_errors=True)
-    return f"file://{_own_dir[0]}"
-
-
-def scratch(spark: SparkSession, what: str) -> str:
-    return f"{shared_dir(spark)}/coverjoin/{what}-{uuid.uuid4().hex}"
-
-
 def cut(df: DataFrame, what: str = "cut") -> DataFrame:
     """Write the rows as a table in the shared folder and read it back, so that later steps neither repeat the work nor
     depend on the executors that did it."""
-    spark, at = df.sparkSession, scratch(df.sparkSession, what)
-    df.write.parquet(at)
-    out = spark.read.schema(df.schema).parquet(at)
-    out._scratch_path = at
-    return out
+    return settle(df, what)
 
 
 def drop_cut(df: DataFrame) -> None:
     """Delete a table made by cut() that nothing reads any more."""
-    jvm = df.sparkSession._jvm
-    path = jvm.org.apache.hadoop.fs.Path(df._scratch_path)
-    path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+    drop(df)
+
+
+def plain(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """The rows under names that clash with none of an operator's own (c0, c1, ...), and these by the names given."""
+    to = {c: f"c{i}" for i, c in enumerate(docs.columns)}
+    return docs.toDF(*to.values()), to
+
+
+def named(df: DataFrame, to: dict[str, str], new: dict[str, str]) -> DataFrame:
+    """Back under the given names. new: the operator's columns by the names they get; one that is there already is replaced
+    in its place, the others follow."""
+    return df.select(*(F.col(new.get(c, x)).alias(c) for c, x in to.items()), *(F.col(x).alias(c) for c, x in new.items() if c not in to))
 
 
 def parts(spark: SparkSession, least: int = 1) -> int:
@@ -102,31 +87,42 @@ def hash_words(flat: pa.Array) -> np.ndarray:
     return own[d.indices.to_numpy()]
 
 
+#: A node with more edges than this, and than its share of 1 / HUBS of all of them, is a hub; so there are at most 2 * HUBS.
+HUB_EDGES, HUBS = 512, 1 << 13
+
+
+def _with_least(pairs: DataFrame, n: int, least_of) -> DataFrame:
+    """The pairs (u, v) with the least neighbour m of u. Hubs' minima are broadcast, as their number is bounded, so that a hub's
+    edges stay where they are; the others meet theirs in a shuffle."""
+    low = pairs.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+    most = max(HUB_EDGES, 2 * n // HUBS)
+    hubs = low.filter(F.col("n") > most).select(F.col("u").alias("hub"), F.col("m").alias("hub_m"))
+    seen = pairs.join(F.broadcast(hubs), F.col("u") == F.col("hub"), "left")
+    rest = seen.filter("hub is null").select("u", "v").join(low.filter(F.col("n") <= most).select("u", "m"), "u").select("u", "v", "m")
+    both = rest.unionByName(seen.filter("hub is not null").select("u", "v", F.col("hub_m").alias("m")))
+    return both.withColumn("m", least_of)
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", what: str = "components", most_rounds: int = 64) -> DataFrame:
     """Connected components of an undirected graph by alternating large and small stars.
 
     edges: two long columns; loops and repeats are allowed. Returns (node, component_id), the smallest node reachable, for
     every node that has an edge to another. Each round is a few shuffles with map-side minima; its result is written to
-    the shared folder, so no lineage grows and a lost executor costs one round at most.
+    the shared folder, so no lineage grows and a lost executor costs one round at most. A hub's edges are never
+    gathered in one task.
     """
-    e = (
-        edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v"))
-        .filter("u <> v")
-        .distinct()
-    )
+    e = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).filter("u <> v").distinct()
     e = cut(e, what)
-    seen = None
+    n, seen = e.count(), None
     for _ in range(most_rounds):
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("m", "u").alias("m"))
-        large = both.join(low, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = _with_least(both, 2 * n, F.least("m", "u")).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         # large now has u > v, and v is the least neighbour seen from a hub of u
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("w")), F.struct(F.col("v").alias("u"), F.col("m").alias("w")))).alias("x")).select(F.col("x.u").alias("u"), F.col("x.w").alias("v")).filter("u <> v").distinct()
+        small = _with_least(large, 2 * n, F.col("m")).select(F.explode(F.array(F.struct("u", F.col("m").alias("w")), F.struct(F.col("v").alias("u"), F.col("m").alias("w")))).alias("x")).select(F.col("x.u").alias("u"), F.col("x.w").alias("v")).filter("u <> v").distinct()
         new = cut(small, what)
         state = tuple(new.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         drop_cut(e)
-        e = new
+        e, n = new, state[0]
         if state == seen:
             return e.select(F.col("u").alias("node"), F.col("v").alias("component_id")).union(e.select(F.col("v").alias("node"), F.col("v").alias("component_id")).distinct())
         seen = state

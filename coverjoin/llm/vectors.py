@@ -28,5 +28,6 @@ def cosines(x: np.ndarray, norms: np.ndarray, q: np.ndarray, qn: float) -> np.nd
 
 
 def scaled(x: np.ndarray) -> np.ndarray:
-    """Rows divided by their largest component, so that no square over- or underflows."""
-    return x / np.abs(x).max(axis=1, keepdims=True)
+    """Rows divided by a power of two near their largest component, so that no square over- or underflows. That changes no digit of a
+    component, so cosines are those of the rows as given."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])

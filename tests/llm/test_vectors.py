@@ -39,7 +39,7 @@ def test_neighbours_recall_and_ties(spark):
     rows = sample(1)
     df = vectors(spark, rows)
     got = {}
-    for r in ann.nearest(df, df.filter("vec_id % 5 = 0"), block=64, chunk=16).collect():
+    for r in ann.nearest(df, df.filter("vec_id % 5 = 0"), block=64).collect():
         got.setdefault(r["query_id"], {})[r["rank"]] = (r["vec_id"], r["score"])
     live = {i: e for i, e, _ in rows if usable(e)}
     hit = total = 0
@@ -109,7 +109,42 @@ def test_warc_round_trip(spark, tmp_path):
 def test_damaged_archives_raise(spark, tmp_path):
     df = spark.createDataFrame([(1, "u", "x" * 500), (2, "u", "y" * 500)], "page_id long, url string, html string")
     done = warc.write(df, f"file://{tmp_path}/a")
-    f = next(tmp_path.glob("a/*.warc.gz"))
+    f = next(tmp_path.glob("a/*/*.warc.gz"))
     f.write_bytes(f.read_bytes()[:-20])
     with pytest.raises(Exception):
         warc.read(done).collect()
+
+
+def folder_bytes(at) -> dict:
+    return {p.name: p.read_bytes() for p in at.rglob("*.warc.gz")}
+
+
+def test_a_folder_written_again_holds_the_new_rows_only(spark, tmp_path):
+    at = f"file://{tmp_path}/w"
+    pages = lambda x: spark.range(40).selectExpr("id AS page_id", "concat('u', id) AS url", f"concat('{x} ', id, repeat('y', 200)) AS html")
+    for x in ("old", "new", "new"):
+        told = warc.write(pages(x), at, shards=3)
+        got = {r["page_id"]: bytes(r["payload"]).decode() for r in warc.read(told).collect()}
+        assert got == {i: f"{x} {i}{'y' * 200}" for i in range(40)}
+    assert warc.read(warc.current(spark, at)).count() == 40
+    assert sorted(p.name for p in (tmp_path / "w").iterdir() if not p.name.startswith("archives-")) == ["_manifest"]
+    assert len([p for p in (tmp_path / "w").iterdir() if p.name.startswith("archives-")]) == 1
+    # an archive that is not the manifest's
+    some = next((tmp_path / "w").rglob("*.warc.gz"))
+    other = warc.write(pages("third"), f"file://{tmp_path}/x", shards=3)
+    some.write_bytes(next((tmp_path / "x").rglob(some.name)).read_bytes())
+    with pytest.raises(Exception, match="not the file of the manifest"):
+        warc.read(told, body=False).count()
+    assert other.count() == 3
+
+
+def test_shards_depend_on_the_rows_alone(spark, tmp_path):
+    pages = spark.range(40000).selectExpr("id * id AS page_id", "concat('u', id) AS url", "concat(id % 30000, repeat('z', 120)) AS html")
+    pages.write.parquet(f"file://{tmp_path}/p")
+    pages = spark.read.parquet(f"file://{tmp_path}/p")
+    told = warc.write(pages, f"file://{tmp_path}/a", shards=7)
+    warc.write(pages.orderBy("url").repartition(5), f"file://{tmp_path}/b", shards=7)
+    a, b = (folder_bytes(tmp_path / x) for x in "ab")
+    assert len(a) == 7 and a == b
+    assert {r["records"] for r in told.collect()} == {5715, 5710}
+    assert warc.read(told, body=False).filter("record_type = 'revisit'").count() == 10000

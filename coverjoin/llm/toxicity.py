@@ -79,12 +79,15 @@ def _distinct(texts: pa.Array, bits: int, grams) -> list[np.ndarray]:
     return out
 
 
-def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 12, bits: int = BITS, grams: tuple[int, ...] = GRAMS, ridge: float = 0.5, steps: int = 200) -> Model:
+def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 14, bits: int = BITS, grams: tuple[int, ...] = GRAMS, ridge: float = 0.5, steps: int = 200) -> Model:
     """Fit on ``rows`` (text string, label int), already a bounded sample of at most 2 * per_class rows.
 
     Presence counts per class are summed on the executors; the ``features`` n-grams with the most evidence are kept, and
-    only their indices per row reach the driver. With one class only, the model gives that class's rate.
+    only their indices per row reach the driver (two bytes each; at most 2 ** 16 features and as many rows). With one class
+    only, the model gives that class's rate.
     """
+    if features > 1 << 16 or 2 * per_class > 1 << 16:
+        raise ValueError("at most 2 ** 16 features and training rows")
     def count(batches):
         pos, neg, np_, nn = np.zeros(1 << bits, np.int32), np.zeros(1 << bits, np.int32), 0, 0
         for b in small_batches(batches, most=1 << 20):
@@ -117,28 +120,44 @@ def train(rows: DataFrame, per_class: int = 3000, features: int = 1 << 12, bits:
     def present(batches):
         for b in small_batches(batches, most=1 << 20):
             got = [slot[i][slot[i] >= 0] for i in _distinct(b.column("text"), bits, grams)]
-            yield pa.RecordBatch.from_arrays([b.column("label").cast(pa.int32()), pa.array([x.astype(np.int32).tobytes() for x in got], pa.binary())], ["y", "x"])
+            yield pa.RecordBatch.from_arrays([b.column("label").cast(pa.int32()), pa.array([x.astype(np.uint16).tobytes() for x in got], pa.binary())], ["y", "x"])
 
     got = rows.mapInArrow(present, "y int, x binary").orderBy("y", "x").collect()
     y = np.array([g["y"] for g in got], np.float64)
-    cols = [np.frombuffer(bytes(g["x"]), np.int32) for g in got]
-    row = np.repeat(np.arange(len(cols), dtype=np.int32), [len(c) for c in cols])
-    col = np.concatenate(cols) if cols else np.zeros(0, np.int32)
-    scale = r[ids].astype(np.float64)
-    val = scale[col].astype(np.float32)
-    w, b = np.zeros(len(ids)), float(np.log(y.mean() / (1 - y.mean())))
-    # accelerated gradient steps; the step is set by the largest row's squared length
-    norm = max(1.0, float(np.bincount(row, weights=val * val, minlength=len(y)).mean()))
+    w, b = _fit([np.frombuffer(bytes(g["x"]), np.uint16) for g in got], y, r[ids].astype(np.float64), ridge, steps)
+    weight[ids] = w.astype(np.float32)
+    return Model(weight, b, bits, grams)
+
+
+def _sums(values: np.ndarray, at: np.ndarray, edges: np.ndarray) -> np.ndarray:
+    """Sums of values[at] over the runs between edges; a run may be empty."""
+    full = np.flatnonzero(np.diff(edges))
+    out = np.zeros(len(edges) - 1)
+    if len(full):
+        out[full] = np.add.reduceat(values.astype(np.float32)[at], edges[full], dtype=np.float64)
+    return out
+
+
+def _fit(cols: list[np.ndarray], y: np.ndarray, scale: np.ndarray, ridge: float, steps: int) -> tuple[np.ndarray, float]:
+    """Ridge-penalised logistic regression on presence times ``scale``, by accelerated gradient steps. Features are binary, so the data
+    are two lists of two-byte indices, by row and by feature; returned weights are already times ``scale``."""
+    many, n = np.array([len(c) for c in cols]), len(scale)
+    col = np.concatenate(cols) if cols else np.zeros(0, np.uint16)
+    by_row = np.concatenate([[0], np.cumsum(many)])
+    row = np.repeat(np.arange(len(cols), dtype=np.uint16), many)[np.argsort(col, kind="stable")]
+    by_col = np.concatenate([[0], np.cumsum(np.bincount(col, minlength=n))])
+    w, b = np.zeros(n), float(np.log(y.mean() / (1 - y.mean())))
+    # the step follows from the rows' mean squared length
+    norm = max(1.0, float(_sums(scale * scale, col, by_row).mean()))
     rate, v, vb, old, oldb = 4.0 / (norm + ridge), w, b, w, b
     for t in range(1, steps + 1):
-        z = np.bincount(row, weights=val * v[col], minlength=len(y)) + vb
+        z = _sums(scale * v, col, by_row) + vb
         g = 1 / (1 + np.exp(-np.clip(z, -40, 40))) - y
-        w = v - rate * (np.bincount(col, weights=val * g[row], minlength=len(ids)) / len(y) + ridge * v / len(y))
+        w = v - rate * (scale * _sums(g, row, by_col) / len(y) + ridge * v / len(y))
         b = vb - rate * float(g.mean())
         k = (t - 1) / (t + 2)
         v, vb, old, oldb = w + k * (w - old), b + k * (b - oldb), w, b
-    weight[ids] = (w * scale).astype(np.float32)
-    return Model(weight, b, bits, grams)
+    return w * scale, b
 
 
 def held_out(key: str = "doc_id") -> Column:

@@ -114,6 +114,9 @@ def near_duplicates(rows: DataFrame, least: float = 0.98, lists: int = 20, seed:
     with the table; a filter with many classes is split into pairs of blocks of a bounded size.
     """
     lab = F.col(label) if label else F.lit(0)
+    # a float is exact in 32 bits: rows that meet in filters carry vectors as narrow as they came
+    item = getattr(rows.schema[vector].dataType, "elementType", None)
+    kind_of = np.dtype(np.float32 if item is not None and item.typeName() == "float" else np.float64)
     base = rows.select(F.col(key).cast("long").alias("id"), lab.alias("label"), F.col(vector).cast("array<double>").alias("v"), (usable(F.col(vector)) & lab.isNotNull() & F.col(key).isNotNull()).alias("ok"))
 
     def classify(batches):
@@ -121,7 +124,7 @@ def near_duplicates(rows: DataFrame, least: float = 0.98, lists: int = 20, seed:
             vs = b.column(2).to_pylist()
             ok = b.column(3).to_pylist()
             raw = [np.asarray(v, np.float64) + 0.0 if o else None for v, o in zip(vs, ok)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([None if r is None else hashlib.blake2b(r.tobytes(), digest_size=16).digest() for r in raw], pa.binary()), pa.array([None if r is None else r.tobytes() for r in raw], pa.binary())], ["id", "label", "same", "v"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([None if r is None else hashlib.blake2b(r.tobytes(), digest_size=16).digest() for r in raw], pa.binary()), pa.array([None if r is None else r.astype(kind_of).tobytes() for r in raw], pa.binary())], ["id", "label", "same", "v"])
 
     kind = dict(base.dtypes)["label"]
     keyed = cut(base.mapInArrow(classify, f"id long, label {kind}, same binary, v binary"), "caps-rows")
@@ -130,16 +133,18 @@ def near_duplicates(rows: DataFrame, least: float = 0.98, lists: int = 20, seed:
     total = classes.count()
     size = max(16, int(np.ceil((max(total, 1) * lists / 4) ** 0.25)))
 
+    filter_kind = np.dtype(np.int32 if size**4 < 1 << 31 else np.int64)
+
     def decode(batches):
         codes: dict[int, Code] = {}
         for b in batches:
             out = []
             for lb, rep, n, v in zip(*(b.column(c).to_pylist() for c in ("label", "rep", "n", "v"))):
-                x = np.frombuffer(v)
+                x = np.frombuffer(v, kind_of).astype(np.float64)
                 s = scaled(x[None, :])[0]
                 code = codes.setdefault(len(x), Code(len(x), size, lists, seed=seed))
                 fs = code.decode(s / np.linalg.norm(s))
-                raw = fs.tobytes()
+                raw = fs.astype(filter_kind).tobytes()
                 out += [(lb, len(x), int(f), rep, n, v, raw) for f in fs]
                 if len(out) > 4000:
                     yield pack(out)
@@ -172,12 +177,12 @@ def near_duplicates(rows: DataFrame, least: float = 0.98, lists: int = 20, seed:
         def close():
             if len(held) < 2:
                 return
-            x = scaled(np.stack([np.frombuffer(h[3]) for h in held]))
+            x = scaled(np.stack([np.frombuffer(h[3], kind_of) for h in held]).astype(np.float64))
             i, j = now[3], now[4]
             split = None if i == j else sum(h[0] == i for h in held)
             if split is not None and not 0 < split < len(held):
                 return
-            near = _links(x, now[2], [np.frombuffer(h[4], np.int64) for h in held], least, split)
+            near = _links(x, now[2], [np.frombuffer(h[4], filter_kind).astype(np.int64) for h in held], least, split)
             n = np.array([h[2] for h in held])
             deg, root = near.astype(np.float64) @ n, _roots(near)
             for t in np.flatnonzero(deg):

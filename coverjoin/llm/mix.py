@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import WORD, cut
+from .common import WORD, cut, plain
 
 GOLDEN = (1 + math.sqrt(5)) / 2
 
@@ -135,6 +135,9 @@ def mixed(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, seed:
     counter = counter or ("n_chars" if "n_chars" in docs.columns else None)
     taken = spans.groupBy("row").agg(F.sum(F.col("to_word") - F.col("from_word")).alias("_taken"))
     taken = sized.join(taken, "row").groupBy(F.col("key").alias("_key"), F.col("hash").alias("_own_hash")).agg(F.sum("_taken").alias("_taken"), F.first("size").alias("_size"))
+    given = docs.columns
+    docs, to = plain(docs)
+    key, text, counter = to[key], to[text], to.get(counter)
     linked = docs.withColumn("_hash", F.xxhash64(F.lit(seed), F.col(key), F.col(text))).join(taken, F.col(key).eqNullSafe(F.col("_key")) & (F.col("_hash") == F.col("_own_hash")))
     # of equal rows the first are served first
     turn = F.row_number().over(W.partitionBy(key, "_hash").orderBy(F.lit(0))) - 1
@@ -146,4 +149,4 @@ def mixed(docs: DataFrame, weights=None, block: int = 1024, most: int = 3, seed:
     out = copies.withColumn("_left", left).withColumn(text, F.when(part, short).otherwise(F.col(text)))
     if counter:
         out = out.withColumn(counter, F.when(part, F.char_length(text).cast("long")).otherwise(F.col(counter)))
-    return out.select(*docs.columns)
+    return out.select(*(F.col(to[c]).alias(c) for c in given))

@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import native
+from .common import named, plain
 
 ROUNDS = 10
 EMAIL = r"[A-Za-z0-9](?:[A-Za-z0-9._%+-]*[A-Za-z0-9])?@[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?(?:\.[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?)*\.[A-Za-z]{2,}"
@@ -19,7 +20,10 @@ IP = r"(?<![\d.])\d{1,3}(?:\.\d{1,3}){3}(?!\.?\d)"
 DATE = r"(?<![\d/.-])(?:\d{4}([-/.])\d{2}\1\d{2}|\d{2}([/.-])\d{2}\2\d{4})(?!\d|[-/.]\d)"
 SSN = r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])"
 PHONE = r"(?<![\d.+-])(?:\+?1[ .-]?)?(?:\([2-9]\d{2}\)[ .-]?|[2-9]\d{2}[ .-])[2-9]\d{2}[ .-]\d{4}(?!\d|[-.]\d)"
-CARD = r"(?<![\d.+-])\d(?:[ -]?\d){12,18}(?!\d|[-.]\d)"
+#: The usual groupings come first, so that a number behind or before the card (expiry, code, item) is not read into it; a number of
+#: 19 digits grouped by four is therefore read as 16 digits and a code.
+GROUPED = "|".join(sep.join(rf"\d{{{n}}}" for n in sizes) for sizes in ((4, 4, 4, 4), (4, 6, 5), (4, 6, 4)) for sep in (" ", "-"))
+CARD = rf"(?<![\d.+-])(?:(?:{GROUPED})|(?!\d{{1,3}}[ -](?:{GROUPED})(?!\d))\d(?:[ -]?\d){{12,18}})(?!\d|[-.]\d)"
 #: In the order in which they are tried at each position.
 KINDS = {"email": EMAIL, "ip": IP, "date": DATE, "ssn": SSN, "phone": PHONE, "card": CARD}
 
@@ -186,9 +190,11 @@ def pseudonymise(docs: DataFrame, key: str, text: str = "text", out: str = "text
     key restores the values. Columns named ``out`` or ``findings`` are replaced, others pass. Nothing is shuffled or cached;
     texts without a match are only scanned once.
     """
-    t = F.col(text)
+    docs, to = plain(docs)
+    t = F.col(to[text])
     none = F.array().cast("array<struct<kind:string,value:string,pseudonym:string>>")
     found = F.when(t.rlike(ANY), F.transform(native.matches(t, ANY), lambda m: pseudonym(m, key, back))).otherwise(none)
     df = docs.withColumn("_found", F.coalesce(found, none))
     rewritten = F.when(F.size("_found") > 0, native.weave(native.gaps(t, ANY), F.transform("_found", lambda x: F.coalesce(x["pseudonym"], x["value"])))).otherwise(t)
-    return df.withColumn("_new", rewritten).withColumn(findings, F.filter("_found", lambda x: x["pseudonym"].isNotNull())).withColumn(out, F.col("_new")).drop("_found", "_new")
+    df = df.withColumn("_new", rewritten).withColumn("_valid", F.filter("_found", lambda x: x["pseudonym"].isNotNull()))
+    return named(df, to, {out: "_new", findings: "_valid"})

@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import native
+from .common import named, plain
 
 LABELLED = 6000
 #: Characters of the text looked at before and behind a candidate, and the shortest candidate.
@@ -212,7 +213,8 @@ def scan(docs: DataFrame, model: tuple[list, list[float]], text: str = "text", f
     ``redacted``: the text with each secret replaced by ``mask``. A null text has none and stays null. Columns of those
     names are replaced, others pass. Nothing is shuffled; texts without candidates are only scanned."""
     forest, odds = model
-    t = F.col(text)
+    docs, to = plain(docs)
+    t = F.col(to[text])
     struct = "array<struct<start:int,secret:string,score:double>>"
     some = t.rlike(CANDIDATE)
     df = docs.withColumn("_m", F.when(some, native.matches(t, CANDIDATE)).otherwise(F.array().cast("array<string>")))
@@ -228,5 +230,5 @@ def scan(docs: DataFrame, model: tuple[list, list[float]], text: str = "text", f
     df = df.withColumn("_f", F.when(F.coalesce(hit, F.lit(False)), found).otherwise(F.array().cast(struct)))
     if redacted:
         clean = native.weave(F.col("_g"), F.zip_with("_m", "_s", lambda m, s: F.when(s >= least, F.lit(mask)).otherwise(m)))
-        df = df.withColumn("_r", F.when(F.size("_f") > 0, clean).otherwise(t)).withColumn(redacted, F.col("_r")).drop("_r")
-    return df.withColumn(findings, F.col("_f")).drop("_m", "_g", "_c", "_s", "_f")
+        df = df.withColumn("_r", F.when(F.size("_f") > 0, clean).otherwise(t))
+    return named(df, to, {findings: "_f"} | ({redacted: "_r"} if redacted else {}))

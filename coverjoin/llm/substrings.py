@@ -190,8 +190,9 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
             rows.append((nb + int(k), _pack6(got[part]) + many.astype(np.int32).tobytes() + ids[docs_of].tobytes() + hs[docs_of].tobytes(), edges[k + 1] - edges[k]))
         return rows
 
-    schema = "kind int, data binary, n int"
-    reported = docs.filter("id is not null").select("id", "h", "text").mapInArrow(report, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+    # buckets are dealt evenly: hashes of as many numbers as there are partitions would leave some empty and others with several
+    schema, bucket = "kind int, data binary, n int", F.pmod("kind", F.lit(nb))
+    reported = docs.filter("id is not null").select("id", "h", "text").mapInArrow(report, schema).repartitionById(nb, bucket).sortWithinPartitions("kind")
 
     def gather(batches):
         held, now = [], None
@@ -230,7 +231,7 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
                 yield keep
         yield from close()
 
-    packets = reported.mapInArrow(gather, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+    packets = reported.mapInArrow(gather, schema).repartitionById(nb, bucket).sortWithinPartitions("kind")
 
     def unpack(batches):
         """One row per document: all its shared anchors."""
@@ -326,7 +327,7 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
 
     # kind 1, packed ranges that are known already, passes through: anchor is the documents' home bucket, id the number of ranges
     cut_up = asked.mapInArrow(fragments, "kind byte, anchor long, id long, h long, places binary, words binary")
-    shards = cut_up.repartition(nb, "kind", "anchor").sortWithinPartitions("kind", "anchor")
+    shards = cut_up.repartitionById(nb, F.pmod("anchor", F.lit(nb)).cast("int")).sortWithinPartitions("kind", "anchor")
 
     # 3. an FM-index over whole anchors' fragments, about SHARD words at a time
     def match(batches):
@@ -360,7 +361,7 @@ def _repeats(docs: DataFrame, window: int, anchor: int) -> DataFrame:
             ready.append(search(held, window, anchor))
         yield from flush()
 
-    found = shards.mapInArrow(match, schema).repartition(nb, "kind").sortWithinPartitions("kind")
+    found = shards.mapInArrow(match, schema).repartitionById(nb, "kind").sortWithinPartitions("kind")
 
     def gathered(batches):
         held, now = [], None

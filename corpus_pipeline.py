@@ -20,20 +20,26 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents below TOXIC, by a classifier trained on the labelled ones among ``docs``. Empty and null texts are scored
     like any other and stay unless the score says otherwise."""
     model = toxicity.train(toxicity.training_rows(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
-    return toxicity.score(docs, model, out="_toxicity").filter(F.col("_toxicity") < TOXIC).drop("_toxicity")
+    out = "toxicity"
+    while out in docs.columns:
+        out = f"_{out}"
+    return toxicity.score(docs, model, out=out).filter(F.col(out) < TOXIC).drop(out)
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document of smallest id of each group of near-duplicates (five-word shingles, similarity of 0.8 or more). Texts
     without words are in no group and stay."""
-    gone = minhash.near_duplicates(docs, shingle=5).filter(~F.col("kept")).select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone.distinct(), F.col("doc_id") == F.col("_gone"), "left_anti")
+    gone = minhash.near_duplicates(docs, shingle=5).filter(~F.col("kept")).select("doc_id").distinct()
+    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, secrets in their texts replaced; n_chars follows the new text."""
-    done = secrets.scan(docs, secrets.train(spark), findings="_secrets", redacted="text")
-    return done.withColumn("n_chars", F.when(F.size("_secrets") > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    out = "secrets"
+    while out in docs.columns:
+        out = f"_{out}"
+    done = secrets.scan(docs, secrets.train(spark), findings=out, redacted="text")
+    return done.withColumn("n_chars", F.when(F.size(out) > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

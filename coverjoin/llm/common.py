@@ -92,15 +92,16 @@ HUB_EDGES, HUBS = 512, 1 << 13
 
 
 def _with_least(pairs: DataFrame, n: int, least_of) -> DataFrame:
-    """The pairs (u, v) with the least neighbour m of u. Hubs' minima are broadcast, as their number is bounded, so that a hub's
-    edges stay where they are; the others meet theirs in a shuffle."""
-    low = pairs.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+    """The pairs (u, v) with the least neighbour m of u. Where u is a hub, the minimum is broadcast, as the number of hubs is
+    bounded, so that a hub's edges stay where they are; the others meet theirs in a shuffle."""
+    low = cut(pairs.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")), "components-least")
     most = max(HUB_EDGES, 2 * n // HUBS)
-    hubs = low.filter(F.col("n") > most).select(F.col("u").alias("hub"), F.col("m").alias("hub_m"))
-    seen = pairs.join(F.broadcast(hubs), F.col("u") == F.col("hub"), "left")
-    rest = seen.filter("hub is null").select("u", "v").join(low.filter(F.col("n") <= most).select("u", "m"), "u").select("u", "v", "m")
-    both = rest.unionByName(seen.filter("hub is not null").select("u", "v", F.col("hub_m").alias("m")))
-    return both.withColumn("m", least_of)
+    hubs = low.filter(F.col("n") > most).select(F.col("u").alias("hub"), "m")
+    if hubs.isEmpty():
+        return pairs.join(low.select("u", "m"), "u").withColumn("m", least_of)
+    at_hubs = pairs.join(F.broadcast(hubs), F.col("u") == F.col("hub")).select("u", "v", "m")
+    others = pairs.join(F.broadcast(hubs.select("hub")), F.col("u") == F.col("hub"), "left_anti").join(low.select("u", "m"), "u").select("u", "v", "m")
+    return others.unionByName(at_hubs).withColumn("m", least_of)
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b", what: str = "components", most_rounds: int = 64) -> DataFrame:
@@ -116,12 +117,13 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", what: str = "compon
     n, seen = e.count(), None
     for _ in range(most_rounds):
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = _with_least(both, 2 * n, F.least("m", "u")).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = cut(_with_least(both, 2 * n, F.least("m", "u")).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), what)
         # large now has u > v, and v is the least neighbour seen from a hub of u
         small = _with_least(large, 2 * n, F.col("m")).select(F.explode(F.array(F.struct("u", F.col("m").alias("w")), F.struct(F.col("v").alias("u"), F.col("m").alias("w")))).alias("x")).select(F.col("x.u").alias("u"), F.col("x.w").alias("v")).filter("u <> v").distinct()
         new = cut(small, what)
         state = tuple(new.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         drop_cut(e)
+        drop_cut(large)
         e, n = new, state[0]
         if state == seen:
             return e.select(F.col("u").alias("node"), F.col("v").alias("component_id")).union(e.select(F.col("v").alias("node"), F.col("v").alias("component_id")).distinct())

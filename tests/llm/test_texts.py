@@ -379,3 +379,31 @@ def test_fm_index_counts():
 def test_sha_of_kept_text_matches_sql(spark):
     r = substrings.dedup(table(spark, [(1, "a  b")])).select(F.sha2("kept_text", 256).alias("s")).first()
     assert r["s"] == hashlib.sha256(b"a b").hexdigest()
+
+
+def test_cards_with_something_behind_or_before_them(spark):
+    from coverjoin.llm import pii
+
+    card = "4111 1111 1111 1111"
+    texts = [f"{card} 12/27", f"{card} 123 ok", f"no 3 {card}.", "4111-1111-1111-1111", "3782 822463 10005 0927", "4111111111111111", "4111 1111 1111 1112 12/27"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    done = pii.pseudonymise(df, "k")
+    got = {r["doc_id"]: r for r in done.collect()}
+    assert [len(got[i]["findings"]) for i in range(7)] == [1, 1, 1, 1, 1, 1, 0]
+    assert got[0]["findings"][0]["value"] == got[1]["findings"][0]["value"] == got[2]["findings"][0]["value"] == card
+    assert len({got[i]["findings"][0]["pseudonym"] for i in range(3)}) == 1 and got[0]["text"].endswith(" 12/27") and card not in got[0]["text"]
+    back = {r["doc_id"]: r["text"] for r in pii.pseudonymise(done.drop("findings"), "k", back=True).collect()}
+    assert back == dict(enumerate(texts))
+
+
+def test_columns_with_an_operators_own_names_pass(spark):
+    from pyspark.sql import functions as F
+
+    from coverjoin.llm import mix, pii
+
+    own = ["_found", "_new", "_m", "_g", "_s", "_f", "_r", "_turn", "_own", "_copy", "_left", "_hash", "c0", "c1"]
+    df = spark.createDataFrame([(i, f"word {i} and more", "s", f"a{i}") for i in range(6)], "doc_id long, text string, source string, extra string")
+    df = df.select("*", *(F.concat(F.lit(n), "doc_id").alias(n) for n in own))
+    for out in (pii.pseudonymise(df, "k"), mix.mixed(df)):
+        rows = out.collect()
+        assert rows and all(r[n] == f"{n}{r['doc_id']}" for r in rows for n in own) and all(r["extra"] == f"a{r['doc_id']}" for r in rows)

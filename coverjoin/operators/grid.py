@@ -58,20 +58,22 @@ def join(q: JoinQuery, cells: int = 64, cover=None) -> DataFrame:
         cols = [F.col(a) if a in r.attrs else F.lit(None).cast(types[a]).alias(a) for a in q.attrs]
         parts.append(r.df.select(F.explode(F.array(*(own + o for o in offsets))).alias("_cell"), F.lit(i).alias("_rel"), *cols))
     attrs, plans = list(q.attrs), [list(r.attrs) for r in q.relations]
-    place = {a: i for i, a in enumerate(attrs)}
     y = tuple(cover[i] for i in order)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        rels = []
-        for i in order:
-            own = pdf.loc[pdf["_rel"] == i, plans[i]]
-            rels.append(kernel.Sections(plans[i], own.itertuples(index=False, name=None)))
-        rows = [tuple(t[a] for a in attrs) for t in kernel.solve(tree, y, {}, rels, place)] if all(r.rows for r in rels) else []
-        return pd.DataFrame(rows, columns=attrs).astype({a: pdf[a].dtype for a in attrs}) if rows else pd.DataFrame({a: pd.Series(dtype=object) for a in attrs})
+        # one code per value of an attribute, the same in all relations
+        codes, values = {}, {}
+        for a in attrs:
+            codes[a], values[a] = pd.factorize(pdf[a], use_na_sentinel=False)
+        own = {i: (pdf["_rel"] == i).to_numpy() for i in order}
+        rows = kernel.solve(tree, y, [kernel.Sections(plans[i], [codes[a][own[i]] for a in plans[i]]) for i in order])
+        return pd.DataFrame({a: pd.Series(values[a].take(rows[a])) for a in attrs})
 
     schema = T.StructType([T.StructField(a, types[a]) for a in attrs])
-    # missing columns would turn whole numbers into floats on the way to pandas: numbers travel as text where that can happen
-    safe = [a for a in attrs if isinstance(types[a], T.IntegralType) and any(a not in r.attrs for r in q.relations)]
-    sent = reduce(DataFrame.unionByName, parts).withColumns({a: F.col(a).cast("string") for a in safe})
+    # pandas makes floats of whole numbers where some are missing, and one value of NaN and null: numbers travel as text where that
+    # can happen (a negative zero as zero, to which it is equal)
+    real = [a for a in attrs if isinstance(types[a], (T.FloatType, T.DoubleType))]
+    safe = real + [a for a in attrs if isinstance(types[a], T.IntegralType) and any(a not in r.attrs for r in q.relations)]
+    sent = reduce(DataFrame.unionByName, parts).withColumns({a: (F.col(a) + F.lit(0.0).cast(types[a]) if a in real else F.col(a)).cast("string") for a in safe})
     told = T.StructType([T.StructField(f.name, T.StringType() if f.name in safe else f.dataType) for f in schema.fields])
     return sent.groupBy("_cell").applyInPandas(run, told).select(*(F.col(a).cast(types[a]) for a in attrs))

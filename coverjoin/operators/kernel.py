@@ -1,65 +1,149 @@
-"""The general method binding by binding, on rows in memory: for one cell of a grid, and to test the plans against."""
+"""The general method on one cell of a grid, held in memory: whole-number codes in sorted arrays, all bindings of a node at a time."""
 
 from __future__ import annotations
 
-import math
 from collections.abc import Sequence
 
+import numpy as np
+
 from ..plans.anchor import AnchorNode
 
+#: Candidates that are made and tested at once.
+BLOCK = 1 << 20
+
+Bindings = dict[str, np.ndarray]
+
+
+class Trie:
+    """Distinct rows of some columns in sorted order. The row numbers of each prefix are codes of their own, so a prefix of any
+    width is looked up by one binary search a column."""
+
+    def __init__(self, cols: Sequence[np.ndarray], n: int):
+        self.levels, self.sizes, ids = [], [], np.zeros(n, np.int64)
+        self.prefix = [ids]
+        for c in cols:
+            size = int(c.max()) + 1 if n else 1
+            keys, first, ids = np.unique(ids * size + c, return_index=True, return_inverse=True)
+            self.levels.append(keys)
+            self.sizes.append(size)
+            self.prefix.append(ids)
+        self.values = [c[first] for c in cols] if cols else []
+        self.first = first if cols else np.zeros(min(n, 1), np.int64)
+
+    def find(self, cols: Sequence[np.ndarray], n: int) -> np.ndarray:
+        """Numbers of the prefixes that the columns spell, -1 where there is none."""
+        ids = np.zeros(n, np.int64) if len(self.prefix[0]) else np.full(n, -1)
+        for c, size, keys in zip(cols, self.sizes, self.levels):
+            want = np.where((ids < 0) | (c >= size), -1, ids * size + c)
+            at = np.searchsorted(keys, want)
+            at[at == len(keys)] = 0
+            ids = np.where(keys[at] == want, at, -1) if len(keys) else np.full(n, -1)
+        return ids
+
+    def starts(self, width: int) -> np.ndarray:
+        """Where the rows of each prefix of that width begin, and the end of the last."""
+        own = self.prefix[width][self.first]
+        return np.searchsorted(own, np.arange(own[-1] + 2 if len(own) else 1))
+
 
 class Sections:
-    """Sections of one relation held in memory: for a set of bound columns, the values of others."""
+    """One relation of a cell: for bound columns, the sections of others."""
 
-    def __init__(self, attrs: Sequence[str], rows):
-        self.attrs, self.rows = tuple(attrs), set(rows)
-        self.maps: dict[tuple, dict] = {}
+    def __init__(self, attrs: Sequence[str], cols: Sequence[np.ndarray]):
+        self.attrs, self.cols = tuple(attrs), dict(zip(attrs, cols))
+        self.n = len(cols[0])
+        self.tries: dict[tuple, tuple[Trie, np.ndarray]] = {}
 
-    def get(self, bound: dict, want: tuple[str, ...]) -> set:
+    def _trie(self, bound: Bindings, want: tuple[str, ...]):
         on = tuple(a for a in self.attrs if a in bound and a not in want)
-        key = (on, want)
-        if key not in self.maps:
-            i, j = [self.attrs.index(a) for a in on], [self.attrs.index(a) for a in want]
-            m: dict = {}
-            for r in self.rows:
-                m.setdefault(tuple(r[x] for x in i), set()).add(tuple(r[x] for x in j))
-            self.maps[key] = m
-        return self.maps[key].get(tuple(bound[a] for a in on), set())
-
-
-def solve(node: AnchorNode, y, bound: dict, rels: Sequence[Sections], place: dict[str, int]):
-    """Bindings of the node's universe that all relations up to its rank agree with, under ``bound``."""
-    edges = [frozenset(r.attrs) for r in rels]
-    order = lambda s: tuple(sorted(s, key=place.__getitem__))
+        if (on, want) not in self.tries:
+            t = Trie([self.cols[a] for a in on + want], self.n)
+            self.tries[on, want] = t, t.starts(len(on))
+        return on, *self.tries[on, want]
+
+    def ranges(self, bound: Bindings, n: int, want: tuple[str, ...]) -> tuple[np.ndarray, np.ndarray, Trie]:
+        """First row and number of rows of each binding's section."""
+        on, trie, starts = self._trie(bound, want)
+        ids = trie.find([bound[a] for a in on], n)
+        low = starts[np.maximum(ids, 0)]
+        return low, np.where(ids < 0, 0, starts[np.minimum(np.maximum(ids, 0) + 1, len(starts) - 1)] - low), trie
+
+    def holds(self, bound: Bindings, n: int, want: tuple[str, ...]) -> np.ndarray:
+        """Whether the bindings, which have values of ``want`` too, are in the relation's projection."""
+        on, trie, _ = self._trie({a: x for a, x in bound.items() if a not in want}, want)
+        return trie.find([bound[a] for a in on + want], n) >= 0
+
+
+def _take(b: Bindings, at: np.ndarray) -> Bindings:
+    return {a: x[at] for a, x in b.items()}
+
+
+def _extend(bound: Bindings, n: int, source: Sections, want: tuple[str, ...], tests: Sequence[tuple[Sections, tuple[str, ...]]]) -> tuple[np.ndarray, Bindings]:
+    """Each binding with each row of its section in ``source`` that all ``tests`` hold: numbers of the bindings, and their new values.
+    Candidates are made BLOCK by BLOCK and tested at once (one section may be longer)."""
+    low, many, trie = source.ranges(bound, n, want)
+    ends, out, done = np.cumsum(many), [], 0
+    values = trie.values[len(trie.values) - len(want) :]
+    while done < n:
+        upto = max(done + 1, int(np.searchsorted(ends, (ends[done - 1] if done else 0) + BLOCK, side="right")))
+        part = many[done:upto]
+        which = np.repeat(np.arange(done, upto), part)
+        row = np.arange(len(which)) - np.repeat(np.cumsum(part) - part, part) + low[which]
+        new = {a: v[row] for a, v in zip(want, values)}
+        for rel, attrs in tests:
+            ok = rel.holds(_take(bound, which) | new, len(which), attrs)
+            which, new = which[ok], _take(new, ok)
+        out.append((which, new))
+        done = upto
+    return _join(out, want)
+
+
+def _join(parts: Sequence[tuple[np.ndarray, Bindings]], attrs: Sequence[str]) -> tuple[np.ndarray, Bindings]:
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *(w for w, _ in parts)]), {a: np.concatenate([none, *(b[a] for _, b in parts)]) for a in attrs}
+
+
+def _node(node: AnchorNode, y, bound: Bindings, n: int, rels: Sequence[Sections]) -> tuple[np.ndarray, Bindings]:
+    """For n bindings: the values of the node's universe that all relations up to its rank agree with, and the binding of each."""
     if node.leaf:
-        u = order(node.universe)
-        sets = sorted((rels[i].get(bound, u) for i in range(node.rank + 1)), key=len)
-        for t in sets[0]:
-            if all(t in s for s in sets[1:]):
-                yield dict(zip(u, t))
-        return
-    k, anchor = node.rank, edges[node.rank]
-    inside = order(node.universe & anchor)
-    lefts = solve(node.left, y[:k], bound, rels, place) if node.left else [{}]
-    for t in lefts:
-        if not inside:
-            yield t
-            continue
-        now = bound | t
-        others = [(i, order(edges[i] & set(inside))) for i in range(k) if edges[i] & set(inside)]
-        mine = rels[k].get(now, inside)
-        if not mine:
-            continue
-        recurse = False
-        if y[k] < 1 and node.right:
-            weight = math.fsum(float(y[i] / (1 - y[k])) * math.log(len(s)) if (s := rels[i].get(now, a)) else -math.inf for i, a in others if y[i] > 0)
-            recurse = weight < math.log(len(mine))
-        if recurse:
-            for z in solve(node.right, tuple(w / (1 - y[k]) for w in y[:k]), now, rels, place):
-                if tuple(z[a] for a in inside) in mine:
-                    yield t | z
-        else:
-            for z in mine:
-                zs = dict(zip(inside, z))
-                if all(tuple(zs[b] for b in a) in rels[i].get(now, a) for i, a in others):
-                    yield t | zs
+        u, live = tuple(sorted(node.universe)), rels[: node.rank + 1]
+        least = np.stack([r.ranges(bound, n, u)[1] for r in live]).argmin(axis=0)
+        parts = []
+        for i, r in enumerate(live):
+            at = np.flatnonzero(least == i)
+            which, new = _extend(_take(bound, at), len(at), r, u, [(s, u) for s in live if s is not r])
+            parts.append((at[which], new))
+        return _join(parts, u)
+    k, inside = node.rank, tuple(sorted(node.universe & set(rels[node.rank].attrs)))
+    which, found = _node(node.left, y[:k], bound, n, rels) if node.left else (np.arange(n), {})
+    if not inside:
+        return which, found
+    now = _take(bound, which) | found
+    many = rels[k].ranges(now, len(which), inside)[1]
+    others = [(r, a) for r in rels[:k] if (a := tuple(x for x in inside if x in r.attrs))]
+    deeper = np.zeros(len(which), bool)
+    if y[k] < 1 and node.right:
+        with np.errstate(divide="ignore"):
+            weight = np.zeros(len(which))
+            for w, r in zip(y, rels[:k]):
+                a = tuple(x for x in inside if x in r.attrs)
+                if a and w > 0:
+                    weight += float(w / (1 - y[k])) * np.log(r.ranges(now, len(which), a)[1])
+            deeper = (many > 0) & (weight < np.log(many))
+    parts, at = [], np.flatnonzero(deeper)
+    if len(at):
+        own, new = _node(node.right, tuple(w / (1 - y[k]) for w in y[:k]), _take(now, at), len(at), rels)
+        ok = rels[k].holds(_take(now, at[own]) | new, len(own), inside)
+        parts.append((at[own[ok]], _take(new, ok)))
+    at = np.flatnonzero(~deeper & (many > 0))
+    own, new = _extend(_take(now, at), len(at), rels[k], inside, others)
+    parts.append((at[own], new))
+    own, new = _join(parts, inside)
+    return which[own], _take(found, own) | new
+
+
+def solve(tree: AnchorNode, y, rels: Sequence[Sections]) -> Bindings:
+    """The join of the relations, given in the tree's order with their cover weights: one array of codes per attribute."""
+    if any(r.n == 0 for r in rels):
+        return {a: np.zeros(0, np.int64) for r in rels for a in r.attrs}
+    return _node(tree, tuple(y), {}, 1, rels)[1]

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterable
 from dataclasses import dataclass, field, replace
 from functools import reduce
+from operator import and_
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -100,7 +101,9 @@ class JoinQuery:
         self.attrs = tuple(attrs or seen)
         if set(self.attrs) != set(seen):
             raise ValueError("the declared attributes are not those of the relations")
-        self.relations = tuple(replace(r, df=r.df.dropna(subset=[a for a in r.attrs if a in shared]) if any(a in shared and r.df.schema[a].nullable for a in r.attrs) else r.df) for r in rels)
+        # not dropna, which takes not-a-number for missing; joins take it for a value
+        held = lambda r: [F.col(a).isNotNull() for a in r.attrs if a in shared and r.df.schema[a].nullable]
+        self.relations = tuple(replace(r, df=r.df.filter(reduce(and_, held(r))) if held(r) else r.df) for r in rels)
         self.hypergraph = Hypergraph(self.attrs, tuple(frozenset(r.attrs) for r in rels))
 
     @property

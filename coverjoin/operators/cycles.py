@@ -83,6 +83,22 @@ class OddPlan:
     closing: str = ""
 
 
+def _distinct(ring: Sequence[Relation]) -> list[dict[str, int]]:
+    """Approximate numbers of distinct values of each relation's attributes, by one job."""
+    counts = [r.df.agg(F.lit(i).alias("i"), *(F.approx_count_distinct(a).alias(f"n{j}") for j, a in enumerate(r.attrs))) for i, r in enumerate(ring)]
+    return [{a: row[f"n{j}"] for j, a in enumerate(ring[row["i"]].attrs)} for row in sorted(reduce(DataFrame.unionByName, counts).collect(), key=lambda row: row["i"])]
+
+
+def _path_rows(ring: Sequence[Relation], distinct: Sequence[dict[str, int]], path: Sequence[int]) -> float:
+    """Estimated rows of the joins along a path of edges, all prefixes together."""
+    rows = total = float(ring[path[0]].size)
+    for a, b in zip(path, path[1:]):
+        v = next(iter(set(ring[a].attrs) & set(ring[b].attrs)))
+        rows *= ring[b].size / max(1, distinct[a][v], distinct[b][v])
+        total += rows
+    return total
+
+
 def odd_cycle(q: JoinQuery, form: str = "linked", plan: OddPlan | None = None) -> DataFrame:
     """Odd cycles: of length 3 by heavy and light keys; longer ones are bundled into a triangle.
 
@@ -99,10 +115,17 @@ def odd_cycle(q: JoinQuery, form: str = "linked", plan: OddPlan | None = None) -
     if n == 3:
         return triangle(q)
     plan = plan or OddPlan()
-    # edges 1 .. n-1 along the path, the n-th closes; the half 1, 3, .., n-2 spans vertices 1 .. n-1. Any edge may close: the one
-    # that leaves the smallest half is taken
+    # edges 1 .. n-1 along the path, the n-th closes; the half 1, 3, .., n-2 spans vertices 1 .. n-1. The smaller half of any closing
+    # edge keeps to the bound. As a product the smallest is taken; linked, the one whose path has the fewest rows by estimate
     part = lambda k, first: math.prod(ring[(k + 1 + i) % n].size for i in range(first, n - 1, 2))
-    k = min(range(n), key=lambda k: (min(part(k, 0), part(k, 1)), (k + 1) % n))
+    least = lambda k: (min(part(k, 0), part(k, 1)), (k + 1) % n)
+    if form == "product":
+        k = min(range(n), key=least)
+    else:
+        distinct = _distinct(ring)
+        turned = lambda k: part(k, 0) > part(k, 1)
+        path = lambda k: [(k - 1 - i if turned(k) else k + 1 + i) % n for i in range(n - 2)]
+        k = min(range(n), key=lambda k: (_path_rows(ring, distinct, path(k)), *least(k)))
     ring, vs = ring[k + 1 :] + ring[: k + 1], vs[k + 1 :] + vs[: k + 1]
     if math.prod(r.size for r in ring[0 : n - 1 : 2]) > math.prod(r.size for r in ring[1 : n - 1 : 2]):
         # backwards with the same closing edge the halves change places
